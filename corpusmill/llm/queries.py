@@ -8,6 +8,7 @@ from .common import table
 from .decontamination import CONTAMINATION_SQL, contamination
 from .html_extract import extract_pages
 from .license_scan import scan_licenses
+from .packing import pack_documents
 from .pii import scan_pii
 from .quality_rules import QUALITY_SQL, quality_report
 from .secret_scan import scan_secrets
@@ -21,6 +22,10 @@ def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_report(table(spark, sf_dir, "documents"))
 
 
+def op4_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(table(spark, sf_dir, "documents"))
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_secrets(table(spark, sf_dir, "documents"))
 
@@ -37,5 +42,5 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_pii(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_license_scan, op3_quality_rules, op5_secret_scan, op7_html_extraction, op8_decontamination, op10_pii)}
+QUERIES = {f.__name__: f for f in (op1_license_scan, op3_quality_rules, op4_best_fit_packing, op5_secret_scan, op7_html_extraction, op8_decontamination, op10_pii)}
 ORACLES: dict[str, str] = {"op3_quality_rules": QUALITY_SQL, "op8_decontamination": CONTAMINATION_SQL}
