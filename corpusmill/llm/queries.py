@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import table
 from .decontamination import CONTAMINATION_SQL, contamination
 from .html_extract import extract_pages
+from .jaccard_join import jaccard_components
 from .license_scan import scan_licenses
 from .packing import pack_documents
 from .pii import scan_pii
@@ -30,6 +31,10 @@ def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_secrets(table(spark, sf_dir, "documents"))
 
 
+def op6_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_components(table(spark, sf_dir, "documents"))
+
+
 def op7_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_pages(table(spark, sf_dir, "pages"))
 
@@ -42,5 +47,5 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_pii(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_license_scan, op3_quality_rules, op4_best_fit_packing, op5_secret_scan, op7_html_extraction, op8_decontamination, op10_pii)}
+QUERIES = {f.__name__: f for f in (op1_license_scan, op3_quality_rules, op4_best_fit_packing, op5_secret_scan, op6_ngram_jaccard_join, op7_html_extraction, op8_decontamination, op10_pii)}
 ORACLES: dict[str, str] = {"op3_quality_rules": QUALITY_SQL, "op8_decontamination": CONTAMINATION_SQL}
