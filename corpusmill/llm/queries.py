@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .common import table
 from .decontamination import CONTAMINATION_SQL, contamination
+from .fuzzy_lines import dedup_report
 from .html_extract import extract_pages
 from .jaccard_join import jaccard_components
 from .license_scan import scan_licenses
@@ -43,9 +44,13 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op9_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return dedup_report(table(spark, sf_dir, "documents"))
+
+
 def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_pii(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_license_scan, op3_quality_rules, op4_best_fit_packing, op5_secret_scan, op6_ngram_jaccard_join, op7_html_extraction, op8_decontamination, op10_pii)}
+QUERIES = {f.__name__: f for f in (op1_license_scan, op3_quality_rules, op4_best_fit_packing, op5_secret_scan, op6_ngram_jaccard_join, op7_html_extraction, op8_decontamination, op9_fuzzy_lines, op10_pii)}
 ORACLES: dict[str, str] = {"op3_quality_rules": QUALITY_SQL, "op8_decontamination": CONTAMINATION_SQL}
