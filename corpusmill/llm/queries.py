@@ -14,12 +14,17 @@ from .packing import pack_documents
 from .pii import scan_pii
 from .quality_rules import QUALITY_SQL, quality_report
 from .secret_scan import scan_secrets
+from .suffix_dedup import repeated_report
 
 
 def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_licenses(table(spark, sf_dir, "documents"))
 
 
+def op2_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_report(table(spark, sf_dir, "documents"))
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_report(table(spark, sf_dir, "documents"))
 
@@ -52,5 +57,5 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_pii(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_license_scan, op3_quality_rules, op4_best_fit_packing, op5_secret_scan, op6_ngram_jaccard_join, op7_html_extraction, op8_decontamination, op9_fuzzy_lines, op10_pii)}
+QUERIES = {f.__name__: f for f in (op1_license_scan, op2_suffix_array_dedup, op3_quality_rules, op4_best_fit_packing, op5_secret_scan, op6_ngram_jaccard_join, op7_html_extraction, op8_decontamination, op9_fuzzy_lines, op10_pii)}
 ORACLES: dict[str, str] = {"op3_quality_rules": QUALITY_SQL, "op8_decontamination": CONTAMINATION_SQL}
