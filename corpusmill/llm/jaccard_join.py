@@ -196,14 +196,15 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     tested = settled(possible(star.union(across).select(*_ordered("cls", "l")), percent))
     links = settled(verified(tested, classes, docs, size, percent, id_col, text_col))
     roots = components(links)
-    # members of one group in different components: those pairs are compared too
+    # members of a group that are apart from its leader's component are compared with all of the group
     labelled = shared.join(roots.withColumnRenamed("node", "cls"), "cls", "left").select("token", "cls", "n", "pos", F.coalesce("root", "cls").alias("root"))
-    open_groups = labelled.groupBy("token").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("token")
-    left = settled(labelled.join(open_groups, "token", "left_semi").distinct())
-    x, y = left.select("token", F.col("cls").alias("x"), "n", F.col("pos").alias("i"), F.col("root").alias("rx")), left.select("token", F.col("cls").alias("y"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("root").alias("ry"))
+    mains = labelled.groupBy("token").agg(F.min_by("root", F.struct("n", "cls")).alias("main"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("token", "main")
+    left = settled(labelled.join(mains, "token").distinct())
+    x = left.where("root <> main").select("token", F.col("cls").alias("c"), "n", F.col("pos").alias("i"), F.col("root").alias("rx"), "main")
+    y = left.select("token", F.col("cls").alias("d"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("root").alias("ry"))
     n, m = F.col("n"), F.col("m")
-    fit = (F.col("x") < F.col("y")) & (F.col("rx") != F.col("ry")) & (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (bound(n, F.col("i"), m, F.col("j")) >= needed(n, m, percent))
-    more = possible(x.join(y, (x["token"] == y["token"]) & fit).select("x", "y", "n", "m", "i", "j"), percent).join(tested.select("x", "y"), ["x", "y"], "left_anti")
+    fit = F.expr("rx <> ry and (ry = main or c < d)") & (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (bound(n, F.col("i"), m, F.col("j")) >= needed(n, m, percent))
+    more = possible(x.join(y, "token").where(fit).select(*_ordered("c", "d")), percent).join(tested.select("x", "y"), ["x", "y"], "left_anti")
     more_links = settled(verified(settled(more), classes, docs, size, percent, id_col, text_col))
     if not more_links.isEmpty():
         roots = components(links.union(more_links))
@@ -212,3 +213,20 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     final = named.join(least, "root").select("cls", "component_id")
     out = rows.select("id", "n", "cls").join(final, "cls", "left")
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
+
+
+def keep_one(docs: DataFrame, size: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of each component, with its columns: the one whose id names the component. Wordless rows all stay.
+
+    Of rows that share that id, the one with the least text stays.
+    """
+    found = jaccard_components(docs, size, percent, id_col, text_col).where("n_shingles > 0")
+    away = found.groupBy(F.col(id_col).alias("__id")).agg(F.min("component_id").alias("__root"), F.count(F.lit(1)).alias("__n")).where("not (__id <=> __root) or __n > 1")
+    text = F.col(text_col).cast("string")
+    whole = docs.select(F.struct("*").alias("__row"), F.col(id_col).cast("long").alias("__key"), F.coalesce(text.rlike(r"[^\x20\x09-\x0D]"), F.lit(False)).alias("__worded"))
+    joined = whole.join(away, F.col("__key").eqNullSafe(F.col("__id")), "left")
+    columns = [F.col("__row")[n].alias(n) for n in docs.columns]
+    once = joined.where(~F.col("__worded") | F.col("__n").isNull()).select(columns)
+    again = joined.where(F.col("__worded") & (F.col("__n") > 1) & F.col("__key").eqNullSafe(F.col("__root")))
+    first = again.withColumn("__rank", F.row_number().over(Window.partitionBy("__key").orderBy(F.col("__row")[text_col].cast("string")))).where("__rank = 1")
+    return once.unionByName(first.select(columns))

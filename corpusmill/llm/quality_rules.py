@@ -88,7 +88,8 @@ def quality_report(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFr
 
 def keep_quality(docs: DataFrame, text_col: str = "text", **options) -> DataFrame:
     """The rows that the rules keep, with their columns; lines over the limit are gone from their texts."""
-    kept = assess(docs, text_col=text_col, **options).where("__kept")
+    judged = assess(docs, text_col=text_col, **options).select(F.inline(F.array(F.struct("__row", "__clean", "__kept"))))  # a filter must not pull the statistics in again, nested
+    kept = judged.where("__kept")
     return kept.select(*(F.col("__clean").alias(n) if n == text_col else F.col("__row")[n].alias(n) for n in docs.columns))
 
 
