@@ -49,6 +49,18 @@ def settled(df: DataFrame, partition_by: Sequence[str] = ()) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession, *tables: DataFrame) -> None:
+    """Delete settled tables that nothing will read again, and let go of the shuffles that made them."""
+    import gc
+
+    for df in tables:
+        for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()[:1]}:
+            if "/corpusmill-" in path:
+                _forget(spark, path)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def map_columns(df: DataFrame, kernel: Callable[[list, list], Sequence[Sequence]], schema: str, arrow: pa.Schema, id_col: str, text_col: str, binary: bool = False) -> DataFrame:
     """Apply kernel(ids, texts) -> columns to Arrow batches; one output row for each row or as many as the columns hold."""
     text = F.col(text_col).cast("string")

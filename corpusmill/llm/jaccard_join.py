@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import settled
+from .common import release, settled
 from .graph import components
 from .hashing import Bits, mix, set_digest, shingle_set
 
@@ -27,31 +27,36 @@ LOG_SLOTS, CHUNK, LOG_BITS = 18, 2048, 26
 #: A prefix shingle that the sketch counts this many times above the mean has its group split in SPLIT parts.
 HOT, SPLIT = 2_000, 16
 #: Ranges of hashes whose sizes the suffix bound compares.
-PARTS = 16
+PARTS = 64
+#: Sets that a verifying task remembers.
+REMEMBERED = 512
 
 
-def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("text"))
+def _texts(docs: DataFrame, id_col: str, text_col: str, unique: bool = True) -> DataFrame:
+    """(key, text): ids are the keys where they are unique and not null, else hashes of id and text are."""
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    key = F.col(id_col).cast("long") if unique else F.xxhash64(F.col(id_col).cast("long"), text)
+    return docs.select(key.alias("key"), text.cast("binary").alias("text"), F.col(id_col).cast("long").alias("id"), F.xxhash64(F.col(id_col).cast("long"), text).alias("hash"))
 
 
 def _sets(batches, size: int):
-    """(ids, sets) in small runs of rows."""
+    """(keys, sets, rows) in small runs of rows."""
     for batch in batches:
         for at in range(0, batch.num_rows, 256):
             part = batch.slice(at, 256)
-            yield part.column(0).to_pylist(), [shingle_set(t, size) for t in part.column(1).to_pylist()]
+            yield part.column(0).to_pylist(), [shingle_set(t, size) for t in part.column(1).to_pylist()], part
 
 
 def class_rows(docs: DataFrame, size: int, id_col: str, text_col: str) -> DataFrame:
     """For each row its class, set size and sizes of the set's parts."""
-    schema = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("cls", pa.binary()), ("parts", pa.list_(pa.int32()))])
+    schema = pa.schema([("id", pa.int64()), ("hash", pa.int64()), ("n", pa.int64()), ("cls", pa.binary()), ("parts", pa.list_(pa.int32()))])
 
     def run(batches):
-        for ids, sets in _sets(batches, size):
-            parts = [np.bincount((s >> np.uint64(60)).astype(np.int64), minlength=PARTS).tolist() for s in sets]
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_digest(s) for s in sets], pa.binary()), pa.array(parts, schema.field(3).type)], schema=schema)
+        for _, sets, part in _sets(batches, size):
+            parts = [np.bincount((s >> np.uint64(58)).astype(np.int64), minlength=PARTS).tolist() for s in sets]
+            yield pa.RecordBatch.from_arrays([part.column(2), part.column(3), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_digest(s) for s in sets], pa.binary()), pa.array(parts, schema.field(4).type)], schema=schema)
 
-    return _texts(docs, id_col, text_col).mapInArrow(run, "id long, n long, cls binary, parts array<int>")
+    return _texts(docs, id_col, text_col).mapInArrow(run, "id long, hash long, n long, cls binary, parts array<int>")
 
 
 def sketch(docs: DataFrame, size: int, id_col: str, text_col: str) -> np.ndarray:
@@ -59,7 +64,7 @@ def sketch(docs: DataFrame, size: int, id_col: str, text_col: str) -> np.ndarray
 
     def count(batches):
         held, some = np.zeros(1 << LOG_SLOTS, np.int64), False
-        for _, sets in _sets(batches, size):
+        for _, sets, _ in _sets(batches, size):
             some = True
             held += np.bincount(np.concatenate([s >> np.uint64(64 - LOG_SLOTS) for s in sets]).astype(np.int64), minlength=1 << LOG_SLOTS)
         if some:
@@ -81,35 +86,30 @@ def _added(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"chunk": [key[0]], "counts": [np.sum(np.stack(rows["counts"].to_list()), axis=0)], "task": [key[1]]})
 
 
-def prefix_rows(docs: DataFrame, counts: np.ndarray, size: int, percent: int, id_col: str, text_col: str) -> DataFrame:
-    """(token, salt, cls, n, pos) for the rarest shingles of each set that a partner must share one of."""
-    held = docs.sparkSession.sparkContext.broadcast(counts)
-    schema = pa.schema([("token", pa.int64()), ("salt", pa.int32()), ("cls", pa.binary()), ("n", pa.int32()), ("pos", pa.int32())])
+def prefix_rows(texts: DataFrame, counts: np.ndarray, size: int, percent: int) -> DataFrame:
+    """(token, salt, key, n, pos) for the rarest shingles of each set that a partner must share one of."""
+    held = texts.sparkSession.sparkContext.broadcast(counts)
+    schema = pa.schema([("token", pa.int64()), ("salt", pa.int32()), ("key", pa.int64()), ("n", pa.int32()), ("pos", pa.int32())])
 
     def run(batches):
         counts = held.value
         hot = counts.mean() + HOT
         seen: set[bytes] = set()
-        for _, sets in _sets(batches, size):
+        for keys, sets, _ in _sets(batches, size):
             cols: list[list] = [[], [], [], [], []]
-            for s in sets:
+            for key, s in zip(keys, sets):
                 n = len(s)
-                cls = set_digest(s)
-                if not n or cls in seen:  # copies in this task add nothing
+                if not n or (cls := set_digest(s)) in seen:  # copies in this task add nothing
                     continue
                 seen.add(cls)
                 often = counts[(s >> np.uint64(64 - LOG_SLOTS)).astype(np.int64)]
                 first = np.lexsort((s, often))[: n - (percent * n + 99) // 100 + 1]
-                cols[0].append(s[first].view(np.int64))
-                cols[1].append(np.where(often[first] > hot, cls[0] % SPLIT, 0))
-                cols[2] += [cls] * len(first)
-                cols[3].append(np.full(len(first), n))
-                cols[4].append(np.arange(len(first)))
+                for col, values in zip(cols, (s[first].view(np.int64), np.where(often[first] > hot, cls[0] % SPLIT, 0), np.full(len(first), key), np.full(len(first), n), np.arange(len(first)))):
+                    col.append(values)
             if cols[2]:
-                flat = [c if k == 2 else np.concatenate(c) for k, c in enumerate(cols)]
-                yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(flat, schema)], schema=schema)
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), type=f.type) for c, f in zip(cols, schema)], schema=schema)
 
-    return _texts(docs, id_col, text_col).mapInArrow(run, "token long, salt int, cls binary, n int, pos int")
+    return texts.select("key", "text").mapInArrow(run, "token long, salt int, key long, n int, pos int")
 
 
 def needed(n: Column, m: Column, percent: int) -> Column:
@@ -117,100 +117,140 @@ def needed(n: Column, m: Column, percent: int) -> Column:
     return F.floor((percent * (n + m) + (99 + percent)) / (100 + percent))
 
 
-def bound(n: Column, i: Column, m: Column, j: Column) -> Column:
-    """Most overlap of two sets that share the shingle at places i and j."""
-    return F.least(i, j) + 1 + F.least(n - i, m - j) - 1
+def bound(n: Column, i: Column, s: Column, m: Column, j: Column, t: Column) -> Column:
+    """Most overlap of two sets that share the shingle at places i and j, with s and t earlier ones that any other set has."""
+    return F.least(s, t) + F.least(n - i, m - j)
 
 
 def possible(pairs: DataFrame, percent: int) -> DataFrame:
     """Distinct pairs (x, y) that pass the length and positional bounds at every shared prefix shingle seen."""
     n, m = F.col("n"), F.col("m")
     close = pairs.where(100 * F.least(n, m) >= percent * F.greatest(n, m))
-    return close.groupBy("x", "y", "n", "m").agg(F.min(bound(n, F.col("i"), m, F.col("j"))).alias("most")).where(F.col("most") >= needed(n, m, percent)).select("x", "y", "n", "m")
+    return close.groupBy("x", "y", "n", "m").agg(F.min(bound(n, F.col("i"), F.col("s"), m, F.col("j"), F.col("t"))).alias("most")).where(F.col("most") >= needed(n, m, percent)).select("x", "y", "n", "m")
 
 
-def verified(pairs: DataFrame, classes: DataFrame, docs: DataFrame, size: int, percent: int, id_col: str, text_col: str) -> DataFrame:
-    """Of distinct pairs (x, y, n, m) those whose whole sets overlap enough; the suffix bound goes first."""
-    own = classes.select("cls", "rep", "parts")
-    pairs = pairs.join(own.select(F.col("cls").alias("x"), F.col("rep").alias("rx"), F.col("parts").alias("px")), "x").join(own.select(F.col("cls").alias("y"), F.col("rep").alias("ry"), F.col("parts").alias("py")), "y")
+def verified(pairs: DataFrame, classes: DataFrame, texts: DataFrame, size: int, percent: int) -> DataFrame:
+    """Of distinct pairs (x, y, n, m) those whose whole sets overlap enough; the suffix bound goes first, then texts meet, packed."""
+    own = classes.select("rep", "parts")
+    pairs = pairs.join(own.select(F.col("rep").alias("x"), F.col("parts").alias("px")), "x").join(own.select(F.col("rep").alias("y"), F.col("parts").alias("py")), "y")
     most = F.expr("aggregate(zip_with(px, py, (a, b) -> least(a, b)), 0L, (s, v) -> s + v)")
-    pairs = settled(pairs.where(most >= needed(F.col("n"), F.col("m"), percent)).select("x", "y", "n", "m", "rx", "ry"))
-    wanted = pairs.select(F.col("x").alias("cls"), F.col("rx").alias("rep")).union(pairs.select("y", "ry")).distinct()
-    packed = _bits(wanted)
-    held = docs.sparkSession.sparkContext.broadcast(packed)
-    schema = pa.schema([("rep", pa.int64()), ("cls", pa.binary()), ("tokens", pa.list_(pa.int64()))])
+    pairs = settled(pairs.where(most >= needed(F.col("n"), F.col("m"), percent)).select("x", "y"))
+    wanted = pairs.select(F.col("x").alias("key")).union(pairs.select("y")).distinct()
+    held = texts.sparkSession.sparkContext.broadcast(_bits(wanted))
+    schema = pa.schema([("key", pa.int64()), ("body", pa.binary())])
 
-    def run(batches):
-        bits = Bits(LOG_BITS, held.value)
-        for ids, sets in _sets(batches, size):
-            keys = np.array([-1 if i is None else i for i in ids], np.int64)
-            rows = [k for k in np.flatnonzero(bits.has(mix(keys.view(np.uint64))))]
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array([ids[k] for k in rows], pa.int64()), pa.array([set_digest(sets[k]) for k in rows], pa.binary()), pa.array([sets[k].view(np.int64) for k in rows], schema.field(2).type)], schema=schema)
+    def pack(batches):
+        import zstandard
+
+        bits, press = Bits(LOG_BITS, held.value), zstandard.ZstdCompressor(level=3)
+        for batch in batches:
+            keys = np.array([-1 if i is None else i for i in batch.column(0).to_pylist()], np.int64)
+            rows = np.flatnonzero(bits.has(mix(keys.view(np.uint64))))
+            if len(rows):
+                found = batch.take(pa.array(rows))
+                yield pa.RecordBatch.from_arrays([found.column(0), pa.array([press.compress(t) for t in found.column(1).to_pylist()], pa.binary())], schema=schema)
+
+    bodies = texts.select("key", "text").mapInArrow(pack, "key long, body binary")
+    bodies = settled(bodies.join(wanted, "key", "left_semi").dropDuplicates(["key"]))
+
+    def check(batches):
+        import zstandard
 
-    tokens = _texts(docs, id_col, text_col).mapInArrow(run, "rep long, cls binary, tokens array<long>")
-    tokens = settled(tokens.join(wanted, [tokens["cls"] == wanted["cls"], tokens["rep"].eqNullSafe(wanted["rep"])], "left_semi").groupBy("cls").agg(F.any_value("tokens").alias("tokens")))
-    both = pairs.select("x", "y", "n", "m").join(tokens.select(F.col("cls").alias("x"), F.col("tokens").alias("tx")), "x").join(tokens.select(F.col("cls").alias("y"), F.col("tokens").alias("ty")), "y")
-    return both.where(F.size(F.array_intersect("tx", "ty")) >= needed(F.col("n"), F.col("m"), percent)).select(F.col("x").alias("a"), F.col("y").alias("b"))
+        unpress, known = zstandard.ZstdDecompressor(), {}
+
+        def members(key: int, body: bytes) -> np.ndarray:
+            if key not in known:
+                if len(known) >= REMEMBERED:
+                    known.clear()
+                known[key] = shingle_set(unpress.decompress(body), size)
+            return known[key]
+
+        for batch in batches:
+            x, y, bx, by = (c.to_pylist() for c in batch.columns)
+            keep = []
+            for a, b, ba, bb in zip(x, y, bx, by):
+                s, t = members(a, ba), members(b, bb)
+                both = len(np.intersect1d(s, t, assume_unique=True))
+                keep.append(100 * both >= percent * (len(s) + len(t) - both))
+            yield pa.RecordBatch.from_arrays(batch.columns[:2], names=["a", "b"]).filter(pa.array(keep))
+
+    both = pairs.join(bodies.select(F.col("key").alias("x"), F.col("body").alias("bx")), "x").join(bodies.select(F.col("key").alias("y"), F.col("body").alias("by")), "y")
+    links = settled(both.select("x", "y", "bx", "by").mapInArrow(check, "a long, b long"))
+    release(texts.sparkSession, bodies, pairs)
+    return links
 
 
 def _bits(wanted: DataFrame) -> bytes:
-    """The bit map of wanted representatives; tasks send their maps, which have a fixed size, compressed."""
+    """The bit map of wanted keys; tasks send their maps, which have a fixed size, compressed."""
     import zlib
 
     def fill(batches):
         bits, some = Bits(LOG_BITS), False
         for batch in batches:
-            keys = np.array([-1 if i is None else i for i in batch.column(0).to_pylist()], np.int64)
-            some |= len(keys) > 0
-            bits.add(mix(keys.view(np.uint64)))
+            some |= batch.num_rows > 0
+            bits.add(mix(batch.column(0).to_numpy().view(np.uint64)))
         if some:
             yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(bits.map.tobytes(), 1)], pa.binary())], names=["map"])
 
     out = Bits(LOG_BITS)
-    for row in wanted.select("rep").coalesce(4).mapInArrow(fill, "map binary").toLocalIterator():
+    for row in wanted.select("key").coalesce(4).mapInArrow(fill, "map binary").toLocalIterator():
         out.map |= np.frombuffer(zlib.decompress(row[0]), np.uint8)
     return out.map.tobytes()
 
 
 def _ordered(x: str, y: str) -> list[Column]:
-    """Columns x, n, i, y, m, j with x the lesser class."""
+    """Columns x, n, i, s, y, m, j, t with x the lesser key."""
     swap = F.col(x) > F.col(y)
     pick = lambda a, b: F.when(swap, F.col(b)).otherwise(F.col(a))
-    return [pick(x, y).alias("x"), pick(y, x).alias("y"), pick("n", "m").alias("n"), pick("m", "n").alias("m"), pick("i", "j").alias("i"), pick("j", "i").alias("j")]
+    return [pick(x, y).alias("x"), pick(y, x).alias("y"), pick("n", "m").alias("n"), pick("m", "n").alias("m"), pick("i", "j").alias("i"), pick("j", "i").alias("j"), pick("s", "t").alias("s"), pick("t", "s").alias("t")]
 
 
 def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: n_shingles and component_id, the smallest id that links reach from it."""
+    spark = docs.sparkSession
     rows = settled(class_rows(docs, size, id_col, text_col))
-    classes = settled(rows.where("n > 0").groupBy("cls").agg(F.min("id").alias("rep"), F.first("parts").alias("parts")))
+    total, ids = rows.agg(F.count(F.lit(1)), F.count_distinct("id")).first()
+    unique = total == ids
+    rows = rows.withColumn("key", F.col("id") if unique else F.col("hash"))
+    texts = _texts(docs, id_col, text_col, unique)
+    classes = settled(rows.where("n > 0").groupBy("cls").agg(F.min("key").alias("rep"), F.min("id").alias("least"), F.min_by("parts", "key").alias("parts"), F.count(F.lit(1)).alias("copies")))
+    alias = settled(rows.where("n > 0").join(classes.where("copies > 1").select("cls", "rep"), "cls").where("key <> rep").select("key", "rep").distinct())
     counts = sketch(docs, size, id_col, text_col)
-    prefixes = prefix_rows(docs, counts, size, percent, id_col, text_col)
     group = Window.partitionBy("token", "salt")
-    shared = prefixes.repartition("token", "salt").withColumns({"members": F.count(F.lit(1)).over(group), "leader": F.min(F.struct("n", "cls", "pos")).over(group)})
-    # a split group keeps its leaders even where a part has one member: they meet below
-    shared = settled(shared.where((F.col("members") > 1) | (F.col("salt") > 0)).select("token", "salt", "cls", "n", "pos", "leader"))
-    star = shared.where("cls <> leader.cls").select("cls", F.col("leader.cls").alias("l"), "n", F.col("leader.n").alias("m"), F.col("pos").alias("i"), F.col("leader.pos").alias("j"))
-    heads = shared.where("cls = leader.cls").groupBy("token").agg(F.min("leader").alias("top"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
-    across = shared.where("cls = leader.cls").join(heads, "token").where("cls <> top.cls").select("cls", F.col("top.cls").alias("l"), "n", F.col("top.n").alias("m"), F.col("pos").alias("i"), F.col("top.pos").alias("j"))
-    tested = settled(possible(star.union(across).select(*_ordered("cls", "l")), percent))
-    links = settled(verified(tested, classes, docs, size, percent, id_col, text_col))
+    # the member that has the shared shingle earliest has the fewest shingles of its own: it leads
+    shared = prefix_rows(texts, counts, size, percent).repartition("token", "salt").withColumn("members", F.count(F.lit(1)).over(group))
+    shared = settled(shared.where((F.col("members") > 1) | (F.col("salt") > 0)).drop("members"))
+    release(spark)
+    shared = shared.join(alias, "key", "left").select("token", "salt", F.coalesce("rep", "key").alias("key"), "n", "pos").distinct()
+    # shingles that no other prefix has cannot match: only the others before a place count, and a place after too many of the rest is none
+    shared = shared.withColumn("s", F.row_number().over(Window.partitionBy("key").orderBy("pos", "token")) - 1).where(100 * (F.col("s") + F.col("n") - F.col("pos")) >= percent * F.col("n"))
+    shared = settled(shared.withColumn("leader", F.min(F.struct("pos", "n", "key", "s")).over(group)))
+    two = lambda l: [F.col(l + ".key").alias("l"), "n", F.col(l + ".n").alias("m"), F.col("pos").alias("i"), F.col(l + ".pos").alias("j"), "s", F.col(l + ".s").alias("t")]  # noqa: E731, E741
+    star = shared.where("key <> leader.key").select("key", *two("leader"))
+    heads = shared.where("key = leader.key").groupBy("token").agg(F.min("leader").alias("top"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
+    across = shared.where("key = leader.key").join(heads, "token").where("key <> top.key").select("key", *two("top"))
+    tested = settled(possible(star.union(across).select(*_ordered("key", "l")), percent))
+    links = verified(tested, classes, texts, size, percent)
     roots = components(links)
     # members of a group that are apart from its leader's component are compared with all of the group
-    labelled = shared.join(roots.withColumnRenamed("node", "cls"), "cls", "left").select("token", "cls", "n", "pos", F.coalesce("root", "cls").alias("root"))
-    mains = labelled.groupBy("token").agg(F.min_by("root", F.struct("n", "cls")).alias("main"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("token", "main")
+    labelled = shared.join(roots.withColumnRenamed("node", "key"), "key", "left").select("token", "key", "n", "pos", "s", F.coalesce("root", "key").alias("root"))
+    mains = labelled.groupBy("token").agg(F.min_by("root", F.struct("pos", "n", "key")).alias("main"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("token", "main")
     left = settled(labelled.join(mains, "token").distinct())
-    x = left.where("root <> main").select("token", F.col("cls").alias("c"), "n", F.col("pos").alias("i"), F.col("root").alias("rx"), "main")
-    y = left.select("token", F.col("cls").alias("d"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("root").alias("ry"))
+    x = left.where("root <> main").select("token", F.col("key").alias("c"), "n", F.col("pos").alias("i"), "s", F.col("root").alias("rx"), "main")
+    y = left.select("token", F.col("key").alias("d"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("s").alias("t"), F.col("root").alias("ry"))
     n, m = F.col("n"), F.col("m")
-    fit = F.expr("rx <> ry and (ry = main or c < d)") & (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (bound(n, F.col("i"), m, F.col("j")) >= needed(n, m, percent))
-    more = possible(x.join(y, "token").where(fit).select(*_ordered("c", "d")), percent).join(tested.select("x", "y"), ["x", "y"], "left_anti")
-    more_links = settled(verified(settled(more), classes, docs, size, percent, id_col, text_col))
+    fit = F.expr("rx <> ry and (ry = main or c < d)") & (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (bound(n, F.col("i"), F.col("s"), m, F.col("j"), F.col("t")) >= needed(n, m, percent))
+    met = x.join(y, "token").where(fit).select(*_ordered("c", "d"))
+    # here every shared prefix shingle of a pair is seen: they and what follows the last one bound the overlap
+    met = met.groupBy("x", "y", "n", "m").agg((F.count(F.lit(1)) + F.least(n - F.max("i"), m - F.max("j")) - 1).alias("most")).where(F.col("most") >= needed(n, m, percent))
+    more = settled(met.select("x", "y", "n", "m").join(tested.select("x", "y"), ["x", "y"], "left_anti"))
+    more_links = verified(more, classes, texts, size, percent)
     if not more_links.isEmpty():
         roots = components(links.union(more_links))
-    named = classes.join(roots.withColumnRenamed("node", "cls"), "cls", "left").select("cls", "rep", F.coalesce("root", "cls").alias("root"))
-    least = named.groupBy("root").agg(F.min("rep").alias("component_id"))
-    final = named.join(least, "root").select("cls", "component_id")
+    named = classes.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("cls", "least", F.coalesce("root", "rep").alias("root"))
+    smallest = named.groupBy("root").agg(F.min("least").alias("component_id"))
+    final = settled(named.join(smallest, "root").select("cls", "component_id"))
+    release(spark, shared, left, tested, more)
     out = rows.select("id", "n", "cls").join(final, "cls", "left")
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
 
