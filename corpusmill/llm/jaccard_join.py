@@ -239,7 +239,9 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     x = left.where("root <> main").select("token", F.col("key").alias("c"), "n", F.col("pos").alias("i"), "s", F.col("root").alias("rx"), "main")
     y = left.select("token", F.col("key").alias("d"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("s").alias("t"), F.col("root").alias("ry"))
     n, m = F.col("n"), F.col("m")
-    fit = F.expr("rx <> ry and (ry = main or c < d)") & (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (bound(n, F.col("i"), F.col("s"), m, F.col("j"), F.col("t")) >= needed(n, m, percent))
+    # the first shared shingle of a linked pair lies this early in both sets
+    early = (F.col("i") <= n - needed(n, m, percent)) & (F.col("j") <= m - needed(n, m, percent))
+    fit = F.expr("rx <> ry and (ry = main or c < d)") & early & (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (bound(n, F.col("i"), F.col("s"), m, F.col("j"), F.col("t")) >= needed(n, m, percent))
     met = x.join(y, "token").where(fit).select(*_ordered("c", "d"))
     # here every shared prefix shingle of a pair is seen: they and what follows the last one bound the overlap
     met = met.groupBy("x", "y", "n", "m").agg((F.count(F.lit(1)) + F.least(n - F.max("i"), m - F.max("j")) - 1).alias("most")).where(F.col("most") >= needed(n, m, percent))
