@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import settled
+from .common import release, settled
 from .grouped_suffixes import common_prefixes, suffix_array
 from .hashing import Bits, Ranges, mix
 
@@ -29,6 +29,7 @@ KEY = 64
 LOG_BITS = 26
 #: Most different contexts of one anchor that a task sorts.
 GROUP = 4096
+PACK = 1 << 20
 _PLACE = np.uint64((1 << 28) - 1)
 _ODD = np.uint64(0xD6E8FEB86659FD93)
 
@@ -204,7 +205,18 @@ def shared_stretches(group: list[tuple[int, bytes]], length: int) -> list[list[t
             b = spans[i + most - 1][2]
             if b - a >= length:
                 out[k].append((a, b))
-    return out
+    return [_outer(sorted(stretches)) for stretches in out]
+
+
+def _outer(stretches: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Those that no other one holds."""
+    kept: list[tuple[int, int]] = []
+    for a, b in stretches:
+        if not kept or b > kept[-1][1]:
+            if kept and kept[-1][0] == a:
+                kept.pop()
+            kept.append((a, b))
+    return kept
 
 
 def sorted_groups(bodies: DataFrame, length: int) -> DataFrame:
@@ -256,7 +268,7 @@ def counted_groups(bodies: DataFrame, length: int) -> DataFrame:
 
 
 def covered_ranges(docs: DataFrame, length: int, id_col: str, text_col: str) -> DataFrame:
-    """(id, th, ranges): sorted (start, end) byte ranges to remove, for texts that have any."""
+    """(id, th, ranges): sorted packed byte ranges to remove, for texts that have any."""
     texts = _texts(docs, id_col, text_col)
     twice = settled(anchor_hashes(texts, length).groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h"))
     places = settled(repeated_places(texts, bit_map(twice, ["h"]), length))
@@ -266,22 +278,25 @@ def covered_ranges(docs: DataFrame, length: int, id_col: str, text_col: str) ->
     found = context_bytes(texts, bit_map(wanted, ["h", "c"]), length).join(wanted, ["h", "c"])
     bodies = settled(found.groupBy("h", "c", "k").agg(F.min("left").alias("left"), F.min("body").alias("body")).select("h", "c", "left", "body", "k"))
     stretches = sorted_groups(bodies.where(F.col("k") <= GROUP), length).union(counted_groups(bodies.where(F.col("k") > GROUP), length))
-    stretches = settled(stretches.groupBy("h", "c").agg(F.collect_set(F.struct("a", "b")).alias("s")))
+    stretches = settled(stretches.distinct())
     whole = places.join(kinds.where("n > 1").select("h", "c"), ["h", "c"], "left_semi").where(F.col("end") - F.col("start") >= length).select("id", "th", "start", "end")
-    part = places.join(stretches, ["h", "c"]).select("id", "th", "at", F.explode("s").alias("s")).select("id", "th", (F.col("at") + F.col("s.a")).alias("start"), (F.col("at") + F.col("s.b")).alias("end"))
-    return whole.union(part).groupBy("id", "th").agg(F.array_sort(F.collect_set(F.struct("start", "end"))).alias("ranges"))
+    part = places.join(stretches, ["h", "c"]).select("id", "th", (F.col("at") + F.col("a")).alias("start"), (F.col("at") + F.col("b")).alias("end"))
+    # a range is one number: its start, then its length in PACK
+    ranges = whole.union(part).select("id", "th", (F.col("start") * PACK + F.col("end") - F.col("start")).alias("r")).groupBy("id", "th").agg(F.array_sort(F.collect_list("r")).alias("ranges"))
+    ranges = settled(ranges)
+    release(docs.sparkSession, twice, places, kinds, mixed, wanted, bodies, stretches)
+    return ranges
 
 
-def _cut(text: bytes, ranges: list[dict]) -> tuple[int, int, bytes]:
+def _cut(text: bytes, ranges: list[int]) -> tuple[int, int, bytes]:
     """Removed bytes, maximal removed runs, what is kept."""
-    kept, at, spans = [], 0, 0
-    end = -1
+    kept, at, spans, end = [], 0, 0, -1
     for r in ranges:
-        if r["start"] > end:
-            kept.append(text[at : r["start"]])
+        start, length = divmod(r, PACK)
+        if start > end:
+            kept.append(text[at:start])
             spans += 1
-        end = max(end, r["end"])
-        at = end
+        at = end = max(end, start + length)
     kept.append(text[at:])
     left = b"".join(kept)
     return len(text) - len(left), spans, left
