@@ -192,11 +192,11 @@ def sweep(df: DataFrame, rule: Rule, grid: list[float]) -> DataFrame:
     m = metrics(df, [rule]).select("lang", F.col(f"m_{rule.name}").alias("m"))
     rows = m.select("lang", "m", F.explode(F.array(*map(F.lit, grid))).alias("threshold"))
     cells = rows.groupBy("threshold", "lang").agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("m") > F.col("threshold")).cast("long")).alias("out"))
-    tot = cells.groupBy("threshold").agg(F.sum("n").alias("N"), F.sum("out").alias("O"))
-    p, q = F.col("n") / F.col("N"), (F.col("n") - F.col("out")) / F.greatest(F.col("N") - F.col("O"), F.lit(1))
+    tot = cells.groupBy("threshold").agg(F.sum("n").alias("n_all"), F.sum("out").alias("out_all"))
+    p, q = F.col("n") / F.col("n_all"), (F.col("n") - F.col("out")) / F.greatest(F.col("n_all") - F.col("out_all"), F.lit(1))
     mid = (p + q) / 2
     part = F.when(p > 0, p * F.log(2.0, p / mid)).otherwise(0.0) + F.when(q > 0, q * F.log(2.0, q / mid)).otherwise(0.0)
-    return cells.join(F.broadcast(tot), "threshold").groupBy("threshold").agg(F.max("O").alias("removed"), F.round(F.max(F.col("O") / F.col("N")), 6).alias("share"), F.round(F.sum(part) / 2, 6).alias("divergence"))
+    return cells.join(F.broadcast(tot), "threshold").groupBy("threshold").agg(F.max("out_all").alias("removed"), F.round(F.max(F.col("out_all") / F.col("n_all")), 6).alias("share"), F.round(F.sum(part) / 2, 6).alias("divergence"))
 
 
 def accuracy(scored: DataFrame, labels: DataFrame) -> DataFrame:
