@@ -40,7 +40,7 @@ both("schedule_epochs", "select model, round(cast(total as double) / pool, 4) as
 RUN = f"with t as (select doc_id, len({TOKENS}) as n from documents where doc_id % 5 = 0)"
 add(
     "pack_sequences", lambda s, d: table(s, d, "documents").select((F.col("doc_id") % 16).alias("shard"), "doc_id", F.size(tokens(F.col("text"))).cast("long").alias("n")).selectExpr("shard", "doc_id", "n", "coalesce(sum(n) over (partition by shard order by doc_id rows between unbounded preceding and 1 preceding), 0) as at").selectExpr("shard", "doc_id", "cast(floor(at / 4096) as bigint) as bin", "at % 4096 as offset", "n"),
-    f"with t as (select doc_id % 16 as shard, doc_id, len({TOKENS})::bigint as n from documents), u as (select *, coalesce(sum(n) over (partition by shard order by doc_id rows between unbounded preceding and 1 preceding), 0)::bigint as at from t) select shard, doc_id, floor(at / 4096)::bigint as bin, at % 4096 as offset, n from u",
+    f'''with t as (select doc_id % 16 as shard, doc_id, len({TOKENS})::bigint as n from documents), u as (select *, coalesce(sum(n) over (partition by shard order by doc_id rows between unbounded preceding and 1 preceding), 0)::bigint as "at" from t) select shard, doc_id, floor("at" / 4096)::bigint as bin, "at" % 4096 as "offset", n from u''',
 )
 add(
     "pipeline_funnel", lambda s, d: _funnel(s, d),

@@ -8,7 +8,7 @@ from corpusmill.schema import table
 from corpusmill.workloads.catalog import add, both
 
 D = "cast({} as double)"
-both("proj_price_case", "select l_orderkey, l_linenumber, floor(l_extendedprice) as net, case when l_quantity > 30 then 'big' else 'small' end as kind from {lineitem}")
+both("proj_price_case", "select l_orderkey, l_linenumber, cast(floor(l_extendedprice) as bigint) as net, case when l_quantity > 30 then 'big' else 'small' end as kind from {lineitem}")
 both("filter_compound", "select l_orderkey, l_linenumber from {lineitem} where l_quantity between 10 and 20 and l_returnflag in ('A', 'R') and l_linestatus like 'F%'")
 both("filter_null_safe", "select o_orderkey from {orders} where o_orderpriority is not distinct from '1-URGENT'")
 both("join_broadcast_star", "select r_name, n_name, round(sum(l_extendedprice * (1 - l_discount)), 2) as revenue from {region} join {nation} on n_regionkey = r_regionkey join {customer} on c_nationkey = n_nationkey join {orders} on o_custkey = c_custkey join {lineitem} on l_orderkey = o_orderkey group by r_name, n_name")
