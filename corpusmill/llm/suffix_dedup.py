@@ -278,7 +278,9 @@ def covered_ranges(docs: DataFrame, length: int, id_col: str, text_col: str) ->
     found = context_bytes(texts, bit_map(wanted, ["h", "c"]), length).join(wanted, ["h", "c"])
     bodies = settled(found.groupBy("h", "c", "k").agg(F.min("left").alias("left"), F.min("body").alias("body")).select("h", "c", "left", "body", "k"))
     stretches = sorted_groups(bodies.where(F.col("k") <= GROUP), length).union(counted_groups(bodies.where(F.col("k") > GROUP), length))
-    stretches = settled(stretches.distinct())
+    # every stretch holds its anchor, so those of one context make up one; a context that occurs twice is covered whole anyway
+    once = kinds.where("n = 1").select("h", "c")
+    stretches = settled(stretches.groupBy("h", "c").agg(F.min("a").alias("a"), F.max("b").alias("b")).join(once, ["h", "c"], "left_semi"))
     whole = places.join(kinds.where("n > 1").select("h", "c"), ["h", "c"], "left_semi").where(F.col("end") - F.col("start") >= length).select("id", "th", "start", "end")
     part = places.join(stretches, ["h", "c"]).select("id", "th", (F.col("at") + F.col("a")).alias("start"), (F.col("at") + F.col("b")).alias("end"))
     # a range is one number: its start, then its length in PACK
