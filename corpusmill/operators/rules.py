@@ -178,7 +178,8 @@ def scored_sql(rules: list[Rule], source: str) -> str:
 
 
 def catalogue(spark: SparkSession) -> DataFrame:
-    rows = [(r.name, r.family, r.goal, r.lang or "", r.low, r.high, r.weight) for r in REGISTRY]
+    number = lambda x: None if x is None else float(x)
+    rows = [(r.name, r.family, r.goal, r.lang or "", number(r.low), number(r.high), r.weight) for r in REGISTRY]
     return spark.createDataFrame(rows, "name string, family string, goal string, lang string, low double, high double, weight double")
 
 
