@@ -110,10 +110,12 @@ def scan(raw: bytes | None) -> tuple:
     base, starts, labels, marks = 0, [], set(), 0
     base_labels: set[str] = set()
     tagged = False
+    word = seen = 0
     for end, (phrase, label, length) in automaton().iter(line):
         if phrase in BASE_PHRASES:
             base += 1
-            starts.append(line.count(" ", 0, end - length))
+            word, seen = word + line.count(" ", seen, end), end  # spaces before the one that ends the phrase
+            starts.append(word - 1 - phrase.count(" "))
             base_labels.add(label)
         elif label == "spdx":
             tagged = True
