@@ -4,9 +4,10 @@ import hashlib
 import re
 from pathlib import Path
 
+import numpy as np
 import pytest
 
-from corpusmill.llm import queries
+from corpusmill.llm import fuzzy_lines, queries
 
 SF = Path("/root/testdata/sf0.001")
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
@@ -116,3 +117,36 @@ def test_jaccard_components(spark, texts):
                 x, y = find(i), find(j)
                 root[max(x, y)] = min(x, y)
     assert {i: (r.n_shingles, r.component_id) for i, r in rows.items()} == {i: (len(sets[i]), find(i)) for i in ids}
+
+
+def distance(x, y):
+    row = list(range(len(y) + 1))
+    for k, c in enumerate(x, 1):
+        last, row[0] = row[0], k
+        for j, d in enumerate(y, 1):
+            last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (c != d))
+    return row[-1]
+
+
+def test_fuzzy_lines(spark, texts):
+    places = sorted((i, k, line) for i, t in texts.items() for k, x in enumerate(t.split("\n")) if (line := fuzzy_lines.normalise(x)))
+    lines = sorted({x for _, _, x in places})
+    fps, root = fuzzy_lines.fingerprints(lines), list(range(len(lines)))
+
+    def find(k):
+        while root[k] != k:
+            k = root[k]
+        return k
+
+    for k, x in enumerate(lines):
+        for j in k + 1 + np.flatnonzero(np.bitwise_count(fps[k + 1 :] ^ fps[k]) <= fuzzy_lines.DISTANCE):
+            most = max(len(x), len(lines[j]))
+            if 100 * min(len(x), len(lines[j])) >= 80 * most and distance(x, lines[j]) <= 20 * most // 100:
+                a, b = find(k), find(int(j))
+                root[max(a, b)] = min(a, b)
+    number, stays = {x: k for k, x in enumerate(lines)}, {}
+    gone = {i: [] for i in texts}
+    for i, pos, x in places:
+        if stays.setdefault(find(number[x]), (i, pos)) != (i, pos):
+            gone[i].append(pos)
+    assert {i: r.removed_lines for i, r in got(spark, "op9_fuzzy_lines").items()} == {i: ",".join(map(str, x)) for i, x in gone.items()}
