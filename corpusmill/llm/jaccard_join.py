@@ -24,7 +24,7 @@ from .hashing import Bits, mix, set_digest, shingle_set
 
 #: The sketch has 2**LOG_SLOTS counters, merged in chunks; the bit map of wanted sets has 2**LOG_BITS bits.
 LOG_SLOTS, CHUNK, LOG_BITS = 18, 2048, 26
-#: A prefix shingle that the sketch counts this many times above the mean has its group split in SPLIT parts.
+#: A prefix shingle that the sketch counts this many times above the mean has its group split in parts 1 to SPLIT; part 0 is a whole group.
 HOT, SPLIT = 2_000, 16
 #: Ranges of hashes whose sizes the suffix bound compares.
 PARTS = 64
@@ -104,7 +104,7 @@ def prefix_rows(texts: DataFrame, counts: np.ndarray, size: int, percent: int) -
                 seen.add(cls)
                 often = counts[(s >> np.uint64(64 - LOG_SLOTS)).astype(np.int64)]
                 first = np.lexsort((s, often))[: n - (percent * n + 99) // 100 + 1]
-                for col, values in zip(cols, (s[first].view(np.int64), np.where(often[first] > hot, cls[0] % SPLIT, 0), np.full(len(first), key), np.full(len(first), n), np.arange(len(first)))):
+                for col, values in zip(cols, (s[first].view(np.int64), np.where(often[first] > hot, 1 + cls[0] % SPLIT, 0), np.full(len(first), key), np.full(len(first), n), np.arange(len(first)))):
                     col.append(values)
             if cols[2]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), type=f.type) for c, f in zip(cols, schema)], schema=schema)
@@ -219,6 +219,7 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     group = Window.partitionBy("token", "salt")
     # the member that has the shared shingle earliest has the fewest shingles of its own: it leads
     shared = prefix_rows(texts, counts, size, percent).repartition("token", "salt").withColumn("members", F.count(F.lit(1)).over(group))
+    # a row alone in a part of a split group has its partners in the other parts
     shared = settled(shared.where((F.col("members") > 1) | (F.col("salt") > 0)).drop("members"))
     release(spark)
     shared = shared.join(alias, "key", "left").select("token", "salt", F.coalesce("rep", "key").alias("key"), "n", "pos").distinct()
