@@ -26,13 +26,15 @@ from pyspark.sql import functions as F
 from .common import settled
 
 VOCABULARY = "byte_bpe_50k.tiktoken"
+#: The added token of the vocabulary, which its tokenizer finds in a text before all else, and that token's id.
+ADDED, ADDED_ID = "<|endoftext|>", 50256
 #: Rows that one numbering bucket holds about.
 BUCKET_ROWS = 50_000
 
 
 @cache
 def encoding(vocabulary: str):
-    """The vocabulary's encoding; special strings in a text are ordinary text."""
+    """The vocabulary's encoding of ordinary text; it knows no added token."""
     import public_tokenizers
     import tiktoken
 
@@ -47,6 +49,13 @@ def token_bytes(text: str, vocabulary: str = VOCABULARY) -> bytes:
     return np.array(encoding(vocabulary).encode_ordinary(text), dtype="<u4").tobytes()
 
 
+def text_ids(text: str, vocabulary: str = VOCABULARY) -> bytes:
+    """Ids of a text by the plain tokenizer: what is between added tokens is encoded by itself."""
+    if ADDED not in text:
+        return token_bytes(text, vocabulary)
+    return np.array([ADDED_ID], dtype="<u4").tobytes().join(token_bytes(part, vocabulary) for part in text.split(ADDED))
+
+
 def pieces_of(docs: DataFrame, capacity: int, vocabulary: str, id_col: str, text_col: str, with_ids: bool) -> DataFrame:
     """Pieces of at most capacity tokens; of a longer document the first takes the rest."""
     fields = [("id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())] + [("ids", pa.binary())] * with_ids
@@ -58,7 +67,7 @@ def pieces_of(docs: DataFrame, capacity: int, vocabulary: str, id_col: str, text
                 part = batch.slice(at, 256)
                 rows = []
                 for doc, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
-                    ids = token_bytes(text or "", vocabulary) + b"\0\0\0\0"
+                    ids = text_ids(text or "", vocabulary) + b"\0\0\0\0"
                     n = len(ids) // 4
                     start, end, k = 0, (n - 1) % capacity + 1, 0
                     while start < n:

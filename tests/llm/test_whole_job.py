@@ -1,8 +1,11 @@
 """Places where an operator once did less than its whole job; each test failed before its correction."""
 
+import zlib
+
+import numpy as np
 import pytest
 
-from corpusmill.llm import hashing, jaccard_join
+from corpusmill.llm import hashing, jaccard_join, packing
 
 SCHEMA = "doc_id long, text string"
 
@@ -23,3 +26,15 @@ def test_split_groups_lose_no_link(spark, hot, monkeypatch):
     docs = spark.createDataFrame([(1, _near(True)), *((i, _near(False)) for i in range(2, 8)), (8, "x y z")], SCHEMA)
     got = {r.doc_id: r.component_id for r in jaccard_join.jaccard_components(docs).collect()}
     assert got == {**{i: 1 for i in range(1, 8)}, 8: 8}
+
+
+def test_packing_knows_the_added_token(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    plain = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    texts = ["hello <|endoftext|> world", "<|endoftext|>", "a<|endoftext|><|endoftext|>b ", " <|endoftext|>\n\n x", "<|endoftext| >", "été 123"]
+    got = {r.doc_id: r for r in packing.pack_documents(spark.createDataFrame(list(enumerate(texts)), SCHEMA)).collect()}
+    for i, text in enumerate(texts):
+        ids = np.array([*plain.encode(text, add_special_tokens=False).ids, 0], "<u4")
+        assert (got[i].length, got[i].ids_crc32) == (len(ids), zlib.crc32(ids.tobytes())), text
