@@ -1,7 +1,7 @@
 """Secret scans: kinds found in the text itself, then in every layer that decoding it uncovers.
 
-A worklist holds layers; each is scanned, and its URL escapes, Unicode escapes, base64 runs and compressed
-bodies become new layers until none is new. Spans of a decoded layer are given as the span of the encoded run in the
+A worklist holds layers; each is scanned, and its URL escapes, Unicode escapes, base64 runs (also wrapped over lines) and
+compressed bodies become new layers until none is new. Spans of a decoded layer are given as the span of the encoded run in the
 text. Defined results: null text is empty; rows are handled one by one (repeated ids repeat); extra columns are ignored.
 """
 
@@ -30,6 +30,8 @@ BASE = ("assign", "access", "hex")
 _KEY = re.compile(r"-----BEGIN (?:[A-Z]+ )?PRIVATE KEY-----")
 _BEARER = re.compile(r"[Bb]earer\x20+(?=[A-Za-z0-9_-]*[0-9])[A-Za-z0-9_-]{12,}(?:\.[A-Za-z0-9_-]+)*")
 _BASE64 = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{16,}={0,2}")
+_WRAPPED = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]++(?:[\x20\t]*+\r?\n[\x20\t]*+[A-Za-z0-9+/_-]++)+={0,2}")
+_LINE_RUN = re.compile(r"[A-Za-z0-9+/_-]+")
 _RUN = re.compile(r"\S+")
 _PERCENT = re.compile(r"%[0-9A-Fa-f]{2}")
 _ESCAPE = re.compile(r"\\(?:u([0-9A-Fa-f]{4})|x([0-9A-Fa-f]{2}))")
@@ -54,29 +56,68 @@ def _more_spans(text: str) -> list[tuple[int, int, str]]:
     return out + ([(*m.span(), "bearer") for m in _BEARER.finditer(text)] if "earer " in text else [])
 
 
+def _compressed(data: bytes) -> bool:
+    return data[:2] == b"\x1f\x8b" or data[:1] == b"\x78" and len(data) > 2 and (data[0] * 256 + data[1]) % 31 == 0
+
+
+def _plain(data: bytes) -> list[str]:
+    """The text of a body that is not compressed, if nearly all of it can be read; bytes that are not UTF-8 count against it."""
+    try:
+        text, wrong = data.decode("utf-8"), 0
+    except UnicodeDecodeError:
+        text = data.decode("utf-8", "replace")
+        wrong = text.count("\ufffd")
+    plain = sum(c.isprintable() or c in "\r\n\t" for c in text) - wrong
+    return [text] if text and plain >= 0.95 * len(text) else []
+
+
 def _unpack(data: bytes) -> list[str]:
-    """Texts of a decoded body: the body itself or, if it is compressed, its content in overlapping windows."""
-    if data[:2] == b"\x1f\x8b" or data[:1] == b"\x78" and len(data) > 2 and (data[0] * 256 + data[1]) % 31 == 0:
-        stream, parts, tail, left = zlib.decompressobj(47), [], b"", data
+    """Texts of a decoded body: the body itself or, if it is compressed, what its members hold in overlapping windows and what follows them."""
+    parts, tail, left = [], b"", data
+    while _compressed(left):
+        stream = zlib.decompressobj(47)
         try:
-            while left:
+            while not stream.eof:
                 got = stream.decompress(left, WINDOW)
+                left = stream.unconsumed_tail
                 if got:
                     parts.append((tail + got).decode("utf-8", "replace"))
-                    tail = got[-4096:]
-                left = stream.unconsumed_tail
-                if stream.eof or not got:
+                    tail = (tail + got)[-4096:]
+                elif not stream.eof:
                     break
         except zlib.error:
-            pass
+            break
+        if not stream.eof:
+            break
+        left = stream.unused_data.lstrip(b"\0")  # members may be padded
+    else:
         if parts:
-            return parts
-    try:
-        text = data.decode("utf-8")
-    except UnicodeDecodeError:
-        return []
-    plain = sum(c.isprintable() or c in "\r\n\t" for c in text)
-    return [text] if text and plain >= 0.95 * len(text) else []
+            return parts + _plain(left)
+    return parts or _plain(data)
+
+
+def _joined(text: str) -> list[tuple[int, int, str]]:
+    """Base64 bodies that are wrapped over lines: all runs of a match, and each stretch of lines of one width.
+
+    What is before the first whole line and after the last one may belong to a body or not, so both are tried.
+    """
+    out: dict[tuple[int, int], str] = {}
+    for m in _WRAPPED.finditer(text):
+        runs = [x.span() for x in _LINE_RUN.finditer(text, m.start(), m.end())]
+        widths = [e - s for s, e in runs]
+        tries, first = {(0, len(runs))}, 0
+        while first < len(runs):
+            last = first + 1
+            while last < len(runs) and widths[last] == widths[first]:
+                last += 1
+            end = last + (last < len(runs) and widths[last] < widths[first])
+            tries |= {(a, b) for a in (max(0, first - 1), first) for b in (last, end) if b - a > 1}
+            first = last
+        for a, b in tries:
+            body = "".join(text[s:e] for s, e in runs[a:b])
+            if len(body) >= 16:
+                out[runs[a][0], m.end() if b == len(runs) else runs[b - 1][1]] = body
+    return [(*span, body) for span, body in out.items()]
 
 
 def _layers(text: str) -> list[tuple[int, int, list[str]]]:
@@ -85,20 +126,22 @@ def _layers(text: str) -> list[tuple[int, int, list[str]]]:
     if _PERCENT.search(text):
         for m in _RUN.finditer(text):
             if _PERCENT.search(m[0]):
-                found.append((*m.span(), _unpack(unquote_to_bytes(m[0]))))
+                data = unquote_to_bytes(m[0])
+                found.append((*m.span(), _unpack(data) or [data.decode("utf-8", "replace")]))
     if _ESCAPE.search(text):
         for m in _RUN.finditer(text):
             if _ESCAPE.search(m[0]):
                 found.append((*m.span(), [_ESCAPE.sub(lambda e: chr(int(e[1] or e[2], 16)), m[0])]))
-    for m in _BASE64.finditer(text):
-        body = m[0].rstrip("=").replace("-", "+").replace("_", "/")
+    runs = [(*m.span(), m[0].rstrip("=")) for m in _BASE64.finditer(text)] + (_joined(text) if "\n" in text else [])
+    for start, end, body in runs:
+        body = body.replace("-", "+").replace("_", "/")
         if len(body) % 4 == 1:
             continue
         try:
             data = base64.b64decode(body + "=" * (-len(body) % 4), validate=True)
         except (binascii.Error, ValueError):
             continue
-        found.append((*m.span(), _unpack(data)))
+        found.append((start, end, _unpack(data)))
     return [x for x in found if x[2]]
 
 

@@ -1,11 +1,14 @@
 """Places where an operator once did less than its whole job; each test failed before its correction."""
 
+import base64
+import gzip
+import random
 import zlib
 
 import numpy as np
 import pytest
 
-from corpusmill.llm import hashing, jaccard_join, packing
+from corpusmill.llm import hashing, jaccard_join, packing, secret_scan
 
 SCHEMA = "doc_id long, text string"
 
@@ -38,3 +41,32 @@ def test_packing_knows_the_added_token(spark):
     for i, text in enumerate(texts):
         ids = np.array([*plain.encode(text, add_special_tokens=False).ids, 0], "<u4")
         assert (got[i].length, got[i].ids_crc32) == (len(ids), zlib.crc32(ids.tobytes())), text
+
+
+def _hidden(text: str) -> set[str]:
+    return {x for x in secret_scan.scan(text)[4].split(",") if x.startswith("hidden_")}
+
+
+def test_secrets_in_every_compressed_member():
+    for body in (gzip.compress(b"nothing") + gzip.compress(b"token=abcdef123456"), gzip.compress(b"nothing") + b"\0\0" + gzip.compress(b"") + zlib.compress(b"token=abcdef123456"), gzip.compress(b"token=abc") + gzip.compress(b"def123456"), gzip.compress(b"nothing") + b"token=abcdef123456"):
+        run = base64.b64encode(body).decode()
+        assert f"hidden_assign:2:{2 + len(run)}" in _hidden("x " + run + " y")
+
+
+def test_secrets_beside_bytes_that_are_not_utf8():
+    run = "/q?q=caf%E9&token%3Dabcdef123456"
+    assert _hidden("go " + run) == {f"hidden_assign:3:{3 + len(run)}"}
+    run = base64.b64encode("a long enough sentence about a café, token=abcdef123456".encode("latin-1")).decode()
+    assert _hidden(run) == {f"hidden_assign:0:{len(run)}"}
+
+
+@pytest.mark.parametrize("width", [76, 64, 50])
+@pytest.mark.parametrize("gap", ["\n", "\r\n", "\n    "])
+def test_secrets_in_wrapped_base64(width, gap):
+    rng = random.Random(width)
+    noise = " ".join(str(rng.random()) for _ in range(40))
+    for body in (gzip.compress(f"{noise} token=abcdef123456".encode()), b"." * (width * 3 // 4 - 12) + b" token=abcdef123456 and more"):
+        run = base64.b64encode(body).decode()
+        lines = gap.join(run[k : k + width] for k in range(0, len(run), width))
+        for before, after in (("", ""), ("data ", "\nThanks for all"), ("word\n", "\n-- end")):
+            assert f"hidden_assign:{len(before)}:{len(before) + len(lines)}" in _hidden(before + lines + after), (before, after)
