@@ -1,7 +1,8 @@
 """Word and character shingles, MinHash, banding, candidate edges, verification and fuzzy deduplication.
 
 The small configurations are expressions that SQL can repeat; the production kernel is one Arrow function from text to band keys,
-so signatures never leave a task. Buckets are linked to their least member, never pair by pair.
+so signatures never leave a task. Buckets are linked to their least member first; where links are verified,
+only members that are still apart in a bucket are compared further.
 """
 
 from __future__ import annotations
@@ -14,6 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpusmill.operators.components import components
+from corpusmill.plans.durable import settled
 from corpusmill.schema import tokens
 
 #: The modulus and the recurrence of the hash constants.
@@ -72,6 +74,26 @@ def verify_edges(edges: DataFrame, files: DataFrame, percent: int, n: int = 5) -
     return both.withColumn("inter", inter).withColumn("uni", F.size("ga") + F.size("gb") - F.col("inter")).where(100 * F.col("inter") >= percent * F.col("uni")).select("a", "b", "inter", "uni")
 
 
+def bucket_links(banded: DataFrame, files: DataFrame, percent: int, n: int = 5) -> DataFrame:
+    """Links (a, b) of the similarity between members of a bucket: all that components need.
+
+    Stars are verified first; in buckets that still hold several components, members outside the least one are compared with those of other components.
+    """
+    tested = settled(bucket_edges(banded))
+    links = settled(verify_edges(tested, files, percent, n).select("a", "b"))
+    roots = components(links).toDF("file_id", "root")
+    sizes = files.select("file_id", F.size(shingles(F.col("text"), n)).alias("m"))
+    rooted = settled(banded.join(roots, "file_id", "left").withColumn("root", F.coalesce("root", "file_id")).join(sizes, "file_id"))
+    mixed = rooted.groupBy("band", "key").agg(F.min("root").alias("main"), F.max("root").alias("last")).where("main <> last").select("band", "key", "main")
+    left = settled(rooted.join(mixed, ["band", "key"]))
+    x = left.where("root <> main").select("band", "key", F.col("file_id").alias("c"), F.col("root").alias("rc"), F.col("m").alias("mc"), "main")
+    y = left.select("band", "key", F.col("file_id").alias("d"), F.col("root").alias("rd"), F.col("m").alias("md"))
+    fit = F.expr(f"rc <> rd and (rd = main or c < d) and 100 * least(mc, md) >= {percent} * greatest(mc, md)")
+    met = x.join(y, ["band", "key"]).where(fit).select(F.greatest("c", "d").alias("a"), F.least("c", "d").alias("b")).distinct()
+    more = settled(met.join(tested, ["a", "b"], "left_anti"))
+    return links.union(verify_edges(more, files, percent, n).select("a", "b"))
+
+
 def band_kernel(k: int, b: int, r: int, n: int, unit: str):
     """Arrow function from texts to band keys; k hashes in b bands of r."""
     a, c = (np.array(x, np.uint64) for x in constants(k))
@@ -96,10 +118,13 @@ def band_kernel(k: int, b: int, r: int, n: int, unit: str):
     return keys
 
 
-def fuzzy_edges(files: DataFrame, k: int = 2048, b: int = 16, r: int = 128, n: int = 5, unit: str = "word") -> DataFrame:
+def text_bands(files: DataFrame, k: int, b: int, r: int, n: int, unit: str) -> DataFrame:
     keys = band_kernel(k, b, r, n, unit)
-    banded = files.select("file_id", F.posexplode(keys("text")).alias("band", "key"))
-    return bucket_edges(banded)
+    return files.select("file_id", F.posexplode(keys("text")).alias("band", "key"))
+
+
+def fuzzy_edges(files: DataFrame, k: int = 2048, b: int = 16, r: int = 128, n: int = 5, unit: str = "word") -> DataFrame:
+    return bucket_edges(text_bands(files, k, b, r, n, unit))
 
 
 def keep_best(files: DataFrame, clusters: DataFrame) -> DataFrame:
@@ -111,9 +136,10 @@ def keep_best(files: DataFrame, clusters: DataFrame) -> DataFrame:
 
 
 def fuzzy_dedup(files: DataFrame, k: int = 2048, b: int = 16, r: int = 128, n: int = 5, unit: str = "word", verify: int | None = None) -> DataFrame:
-    edges = fuzzy_edges(files, k, b, r, n, unit)
-    if verify is not None:
-        edges = verify_edges(edges, files, verify, n)
+    if verify is None:
+        edges = fuzzy_edges(files, k, b, r, n, unit)
+    else:
+        edges = bucket_links(settled(text_bands(files, k, b, r, n, unit)), files, verify, n)
     return keep_best(files, components(edges.select("a", "b")))
 
 

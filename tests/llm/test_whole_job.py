@@ -9,6 +9,7 @@ import numpy as np
 import pytest
 
 from corpusmill.llm import hashing, jaccard_join, packing, secret_scan
+from corpusmill.operators import minhash
 
 SCHEMA = "doc_id long, text string"
 
@@ -70,3 +71,18 @@ def test_secrets_in_wrapped_base64(width, gap):
         lines = gap.join(run[k : k + width] for k in range(0, len(run), width))
         for before, after in (("", ""), ("data ", "\nThanks for all"), ("word\n", "\n-- end")):
             assert f"hidden_assign:{len(before)}:{len(before) + len(lines)}" in _hidden(before + lines + after), (before, after)
+
+
+def test_buckets_led_by_a_false_candidate(spark):
+    common = [f"w{i}" for i in range(60)]
+    near = common + [f"b{i}" for i in range(30)]
+    texts = {1: common + [f"a{i}" for i in range(30)], 2: near + ["c"], 3: near + ["d"], 4: ["other"] * 9}
+    files = spark.createDataFrame([(i, " ".join(t), 0, 0) for i, t in texts.items()], "file_id long, text string, stars int, commit_day int")
+    buckets = minhash.text_bands(files, 8, 8, 1, 5, "word").where("file_id < 4").groupBy("band", "key").count().where("count = 3")
+    led = minhash.text_bands(files, 8, 8, 1, 5, "word").join(buckets, ["band", "key"]).select("band").distinct().first()
+    assert led is not None
+    k = led.band + 1  # with k hashes the last band, and so the first such bucket, is led by file 1
+    bands = minhash.text_bands(files, k, k, 1, 5, "word").where(f"band = {led.band}")
+    assert [(r.a, r.b) for r in minhash.bucket_links(bands, files, 70).collect()] == [(3, 2)]
+    kept = minhash.fuzzy_dedup(files, 1, 1, 1, verify=70).select("file_id")
+    assert sorted(r.file_id for r in kept.collect()) == [1, 2, 4]
