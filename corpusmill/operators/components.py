@@ -5,31 +5,42 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusmill.plans.durable import settled
+from corpusmill.plans.durable import forget, settled
 
 
-def _both(edges: DataFrame) -> DataFrame:
-    return edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
+def _pairs(df: DataFrame, a: str, b: str) -> DataFrame:
+    return df.select(F.col(a).alias("a"), F.col(b).alias("b"))
 
 
-def components(edges: DataFrame, rounds: int = 50) -> DataFrame:
+def _is_star_forest(edges: DataFrame) -> bool:
+    """Whether each greater end has one lesser neighbour and no lesser end has a still lesser one."""
+    ends = edges.select(F.col("a").alias("v"), F.lit(1).alias("up"), F.lit(0).alias("down")).union(edges.select("b", F.lit(0), F.lit(1)))
+    return ends.groupBy("v").agg(F.sum("up").alias("up"), F.max("down").alias("down")).where("up > 1 or (up = 1 and down = 1)").isEmpty()
+
+
+def components(edges: DataFrame) -> DataFrame:
     """(node, root) for every node of edges (a, b); root is the least node of its component.
 
     Each round points every node's larger neighbours at its least neighbour, then its smaller ones; minima are
-    summed up before they are joined back, so a node with many neighbours costs no task of its own. Rounds end when nothing moves.
+    summed up before they are joined back, so a node with many neighbours costs no task of its own. Rounds go on until
+    every component is a star about its least node, which the alternation reaches in about log2 of the longest path.
     """
     now = settled(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    mark = None
-    for _ in range(rounds):
-        around = _both(now)
+    while not _is_star_forest(now):
+        around = now.union(_pairs(now, "b", "a"))
         least = around.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = around.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
-        low = large.where("a <> b")
+        low = _pairs(around.join(least, "a").where("b > a"), "b", "m").distinct().where("a <> b")
         least = low.groupBy("a").agg(F.min("b").alias("m"))
-        small = low.join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").union(least.select("a", F.col("m").alias("b"))).distinct()
-        now = settled(small)
-        row = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if tuple(row) == mark:
-            break
-        mark = tuple(row)
-    return now.select(F.col("a").alias("node"), F.col("b").alias("root")).union(now.select(F.col("b").alias("node"), F.col("b").alias("root"))).distinct()
+        small = _pairs(low.join(least, "a"), "b", "m").where("a <> b").union(_pairs(least, "a", "m")).distinct()
+        before, now = now, settled(small)
+        for path in {f.rsplit("/", 1)[0] for f in before.inputFiles()[:1]}:
+            forget(now.sparkSession, path)
+    return now.select(F.col("a").alias("node"), F.col("b").alias("root")).union(now.select("b", "b")).distinct()
+
+
+def merge_labels(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """labels (node, root) after links (a, b) between nodes: roots that links join become the least of them; settled."""
+    of = lambda end: labels.select(F.col("node").alias(end), F.col("root").alias("r" + end))
+    between = links.join(of("a"), "a").join(of("b"), "b").where("ra <> rb")
+    moved = components(_pairs(between, "ra", "rb")).toDF("root", "to")
+    return settled(labels.join(moved, "root", "left").select("node", F.coalesce("to", "root").alias("root")))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 
@@ -10,12 +11,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's spark.checkpoint.dir, or an own folder where it is unset."""
+    """The session's spark.checkpoint.dir; where it is unset, an own folder on a single machine and an error on a cluster."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         folder = held.get() if held.isDefined() else None
     if not folder:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = tempfile.mkdtemp(prefix="corpusmill-")
         spark.sparkContext.setCheckpointDir(folder)
     return folder
@@ -36,3 +39,13 @@ def settled(df: DataFrame) -> DataFrame:
     df.write.option("compression", "zstd").parquet(path)
     atexit.register(forget, spark, path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def release(spark: SparkSession, *tables: DataFrame) -> None:
+    """Delete settled tables that nothing will read again, and let go of the shuffles that made them."""
+    for df in tables:
+        for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()[:1]}:
+            if "/corpusmill-" in path:
+                forget(spark, path)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
