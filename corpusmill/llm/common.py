@@ -1,64 +1,53 @@
-"""Shared pieces of the training-data operators: table access, Arrow mapping and durable cuts of lineage."""
+"""Shared pieces of the training-data operators: table access, Arrow mapping and membership maps."""
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator, Sequence
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from corpusmill.plans.durable import release, settled, shared_folder  # noqa: F401  the operators of this subpackage take them from here
+
+#: Sizes that a membership map can have, as powers of two of its bits: 8 KB to 16 MB.
+MAP_BITS = (16, 27)
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: the session's spark.checkpoint.dir, or an own one where it is unset."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        held = spark.sparkContext._jsc.sc().getCheckpointDir()
-        folder = held.get() if held.isDefined() else None
-    if not folder:
-        folder = tempfile.mkdtemp(prefix="corpusmill-")
-        spark.sparkContext.setCheckpointDir(folder)
-    return folder
-
-
-def _forget(spark: SparkSession, path: str) -> None:
-    try:
-        jvm = spark.sparkContext._jvm
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-    except Exception:  # noqa: BLE001  the session may be gone at exit
-        pass
-
-
-def settled(df: DataFrame, partition_by: Sequence[str] = ()) -> DataFrame:
-    """Write df as Parquet to the shared folder and read it back: lost executors then cost a read, not a rerun."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark).rstrip('/')}/corpusmill-{uuid.uuid4().hex}"
-    writer = df.write
-    if partition_by:
-        writer = writer.partitionBy(*partition_by)
-    writer.option("compression", "zstd").parquet(path)
-    atexit.register(_forget, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def release(spark: SparkSession, *tables: DataFrame) -> None:
-    """Delete settled tables that nothing will read again, and let go of the shuffles that made them."""
-    import gc
-
-    for df in tables:
-        for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()[:1]}:
-            if "/corpusmill-" in path:
-                _forget(spark, path)
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+class Members:
+    """A map of which well-mixed 64-bit values may be in a set: no false absences.
+
+    Its size follows the number of values up to MAP_BITS; past that it lets more through, and the join behind it still decides.
+    """
+
+    def __init__(self, log_bits: int, words: np.ndarray) -> None:
+        self.log_bits, self.words = log_bits, words
+
+    @classmethod
+    def of(cls, values: DataFrame, column: str) -> Members:
+        log_bits = int(min(max(values.count() * 16, 1).bit_length(), MAP_BITS[1]))
+        log_bits = max(log_bits, MAP_BITS[0])
+        slots = [f"shiftrightunsigned({column}, {64 - log_bits})", f"{column} & {(1 << log_bits) - 1}L"]
+        slot = values.select(F.explode(F.expr(f"array({', '.join(slots)})")).alias("slot"))
+        found = slot.groupBy(F.expr("cast(shiftright(slot, 6) as int)").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(slot & 63 as int))")).alias("bits"))
+        words = np.zeros(1 << (log_bits - 6), np.uint64)
+        held = found.toArrow()
+        words[held.column("word").to_numpy()] = held.column("bits").to_numpy().view(np.uint64)
+        return cls(log_bits, words)
+
+    def has(self, values: np.ndarray) -> np.ndarray:
+        values = values.view(np.uint64)
+        out = np.ones(len(values), bool)
+        for slot in (values >> np.uint64(64 - self.log_bits), values & np.uint64((1 << self.log_bits) - 1)):
+            out &= (self.words[(slot >> np.uint64(6)).astype(np.int64)] >> (slot & np.uint64(63))) & np.uint64(1) > 0
+        return out
+
+
 
 
 def map_columns(df: DataFrame, kernel: Callable[[list, list], Sequence[Sequence]], schema: str, arrow: pa.Schema, id_col: str, text_col: str, binary: bool = False) -> DataFrame:
