@@ -56,11 +56,34 @@ def test_secrets_in_every_compressed_member():
 
 def test_secrets_beside_bytes_that_are_not_utf8():
     run = "/q?q=caf%E9&token%3Dabcdef123456"
-    assert _hidden("go " + run) == {f"hidden_assign:3:{3 + len(run)}"}
+    text = "go " + run  # the span is that of the characters which the match came from, not of the whole run
+    assert _hidden(text) == {f"hidden_assign:{text.index('token')}:{len(text)}"}
     run = base64.b64encode("a long enough sentence about a café, token=abcdef123456".encode("latin-1")).decode()
     assert _hidden(run) == {f"hidden_assign:0:{len(run)}"}
 
 
+def test_secrets_that_join_plain_and_decoded_characters():
+    assert _hidden("password: %68%75%6e%74%65%72%32%32") == {"hidden_assign:0:34"}
+    text = "x" * 200 + "%41token%3Dabcdef123456&" + "y" * 200
+    assert _hidden(text) == {"hidden_assign:203:223"}
+    inner = base64.b64encode(b"a quiet line\nsecret=%74%65%73%74%31%32%33").decode()
+    assert _hidden("z " + inner) == {f"hidden_assign:2:{2 + len(inner)}"}
+    assert _hidden("token=abcdef123456 and %41") == set()
+
+
+def test_secrets_beside_lone_surrogates(spark):
+    texts = {1: r"\ud83d%41 \ude00%2 token=\x61bcdef123", 2: r"\ud83d\ude00 p\u0061ssword: \u0068unter22", 3: "%ff%fe\\udfff", 4: None}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {r.doc_id: r.spans for r in secret_scan.scan_secrets(docs).collect()}
+    assert got == {1: f"hidden_assign:19:{len(texts[1])}", 2: f"hidden_assign:13:{len(texts[2])}", 3: "", 4: ""}
+
+
+def test_a_compressed_bomb_is_scanned_window_by_window():
+    body = zlib.compress(b"a " * (40 << 20) + b"token=abcdef123456")
+    run = base64.b64encode(body).decode()
+    assert f"hidden_assign:0:{len(run)}" in _hidden(run)
+
+
 @pytest.mark.parametrize("width", [76, 64, 50])
 @pytest.mark.parametrize("gap", ["\n", "\r\n", "\n    "])
 def test_secrets_in_wrapped_base64(width, gap):
