@@ -1,10 +1,12 @@
 """Best-fit packing of tokenised documents into sequences of bounded length.
 
 The lengths of all pieces are counted (at most `capacity` counts, whatever the input). Over that histogram a configuration linear
-program is solved by multiplicative weights: each round a knapsack dynamic program prices the best pattern of lengths, the pattern
-gets a share of the demand, and lengths that lag behind gain weight. Pattern counts are rounded down; what is left is
-placed by best fit, decreasing. Pieces of one length are then numbered, bucket by bucket, and the number says which pattern slot, so which sequence and
-offset, a piece takes. Nothing but the histogram and the patterns meets on the driver.
+program, one variable for each pattern of lengths that fits, is solved for the whole demand by multiplicative weights: each round a knapsack dynamic program
+prices the best pattern under the weights, the pattern gets a share of the demand, and lengths that lag behind gain weight. The
+weights over the price of that pattern are a feasible point of the dual program, so every round also bounds the sequences from below (`Plan.bound`). Counts of
+patterns are rounded down, those of patterns with gaps either too or to none, whichever packs better; the pieces that rounding frees are placed by best
+fit, decreasing, into gaps and then into sequences of their own. Pieces of one length are then numbered, bucket by bucket, and the number says which pattern slot, so which sequence and
+offset, a piece takes. Nothing but the histogram and the patterns (some hundreds, see `plan`) meets on the driver.
 
 Defined results: null or empty text is the end token alone; repeated rows are packed each on its own; an empty table gives an
 empty result; extra columns are ignored.
@@ -14,8 +16,10 @@ from __future__ import annotations
 
 import base64
 import os
+import re
 import zlib
 from collections import defaultdict
+from dataclasses import dataclass
 from functools import cache
 
 import numpy as np
@@ -28,6 +32,9 @@ from .common import settled
 VOCABULARY = "byte_bpe_50k.tiktoken"
 #: The added token of the vocabulary, which its tokenizer finds in a text before all else, and that token's id.
 ADDED, ADDED_ID = "<|endoftext|>", 50256
+#: White space in one run from which on the quick encoder could run out of stack.
+LONG_RUN = 50_000
+_LONG_RUN = re.compile(rf"\s{{{LONG_RUN}}}")
 #: Rows that one numbering bucket holds about.
 BUCKET_ROWS = 50_000
 
@@ -44,8 +51,20 @@ def encoding(vocabulary: str):
     return tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
 
+@cache
+def plain_tokenizer(vocabulary: str):
+    """The same vocabulary in the library that takes a run of white space of any length; a quarter of the speed otherwise."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = vocabulary if os.path.exists(vocabulary) else public_tokenizers.path(vocabulary)
+    return Tokenizer.from_file(os.path.splitext(path)[0] + ".json")
+
+
 def token_bytes(text: str, vocabulary: str = VOCABULARY) -> bytes:
-    """Ids of a text as little-endian unsigned 32-bit bytes."""
+    """Ids of a text without the added token as little-endian unsigned 32-bit bytes."""
+    if len(text) >= LONG_RUN and _LONG_RUN.search(text):
+        return np.array(plain_tokenizer(vocabulary).encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
     return np.array(encoding(vocabulary).encode_ordinary(text), dtype="<u4").tobytes()
 
 
@@ -103,36 +122,39 @@ def price(weights: np.ndarray, capacity: int) -> list[int]:
     return pattern
 
 
-def fractional(demand: np.ndarray, capacity: int, rounds: int, step: float, part: float) -> list[tuple[list[int], float]]:
-    """Patterns with fractional counts that cover that part of the demanded tokens, no length in excess."""
+def fractional(demand: np.ndarray, capacity: int, rounds: int, step: float) -> tuple[list[tuple[list[int], float]], float]:
+    """Patterns with fractional counts that cover the demand, no length in excess, and the best lower bound of the dual."""
     left = demand.astype(float)
     lengths = np.arange(capacity + 1)
     share = max(1.0, (left * lengths).sum() / capacity / rounds)
     weights = np.where(left > 0, lengths.astype(float), -np.inf)
     out: list[tuple[list[int], float]] = []
-    stop = (1 - part) * (left * lengths).sum()
-    while (left * lengths).sum() > stop:
+    bound = 0.0
+    while True:
         pattern = price(weights, capacity)
         used = np.bincount(pattern, minlength=capacity + 1)
         at = used > 0
+        bound = max(bound, float((demand * np.maximum(weights, 0)).sum() / (used[at] * weights[at]).sum()))
         count = min(share, (left[at] / used[at]).min())
         left[at] -= count * used[at]
         left[left < 1e-9] = 0
         out.append((pattern, count))
         live = left > 0
         if not live.any():
-            break
+            return out, bound
         lag = left[live] / demand[live]  # multiplicative update: what is covered less than the mean gains weight
         weights[~live] = -np.inf
         weights[live] *= np.exp(step * (lag - np.average(lag, weights=left[live] * lengths[live])) / rounds)
         weights[live] *= (lengths[live] * left[live]).sum() / (weights[live] * left[live]).sum()
-    return out
 
 
-def best_fit(demand: np.ndarray, capacity: int) -> list[tuple[tuple[int, ...], int]]:
-    """Best fit, decreasing, on counts: bins alike are kept as one group."""
+def best_fit(demand: np.ndarray, capacity: int, started: list[tuple[tuple[int, ...], int]] = ()) -> list[tuple[tuple[int, ...], int]]:
+    """Best fit, decreasing, on counts, into the started patterns and new ones: bins alike are kept as one group."""
     free: dict[int, list[list]] = defaultdict(list)
     rooms = np.zeros(capacity + 1, dtype=np.int64)
+    for pattern, n in started:
+        free[capacity - sum(pattern)].append([pattern, n])
+        rooms[capacity - sum(pattern)] += n
     for length in range(capacity, 0, -1):
         n = int(demand[length])
         while n:
@@ -161,33 +183,50 @@ def best_fit(demand: np.ndarray, capacity: int) -> list[tuple[tuple[int, ...], i
     return [(p, n) for groups in free.values() for p, n in groups if n]
 
 
-def plan(histogram: dict[int, int], capacity: int, rounds: int = 200, step: float = 4.0, part: float = 0.5) -> list[tuple[tuple[int, ...], int]]:
+@dataclass
+class Plan:
+    """Patterns with whole counts; of their sequences, how many come from the rounded program; and a lower bound of the sequences."""
+
+    patterns: list[tuple[tuple[int, ...], int]]
+    rounded: int
+    bound: int
+
+    @property
+    def sequences(self) -> int:
+        return sum(n for _, n in self.patterns)
+
+
+def plan(histogram: dict[int, int], capacity: int, rounds: int = 200, step: float = 4.0) -> Plan:
     """Patterns with whole counts that hold exactly the histogram.
 
-    The program is solved for `part` of the demand, so that the rest keeps pieces of all lengths for best fit to fill gaps with;
-    only patterns without a gap are rounded down to whole counts, the others join the rest.
+    The program ends after about `rounds` patterns and one more for each length that runs out, so a plan has at most some thousand
+    patterns for capacities of some thousand tokens, however many documents there are.
     """
     demand = np.zeros(capacity + 1, dtype=np.int64)
     for length, n in histogram.items():
         demand[length] = n
-    whole: dict[tuple[int, ...], int] = defaultdict(int)
-    rest = demand.copy()
-    if demand[capacity]:
-        whole[(capacity,)] = int(demand[capacity])
-        rest[capacity] = 0
-    if rest.any():
-        exact: dict[tuple[int, ...], float] = defaultdict(float)
-        for pattern, count in fractional(rest, capacity, rounds, step, part):
-            exact[tuple(sorted(pattern, reverse=True))] += count
-        for pattern, count in exact.items():
-            n = int(count + 1e-6)
-            if n and sum(pattern) == capacity:
-                whole[pattern] += n
-                for length in pattern:
-                    rest[length] -= n
-        for pattern, n in best_fit(rest, capacity):
+    full = int(demand[capacity])
+    demand[capacity] = 0
+    if not demand.any():
+        return Plan([((capacity,), full)] * bool(full), full, full)
+    found, bound = fractional(demand, capacity, rounds, step)
+    exact: dict[tuple[int, ...], float] = defaultdict(float)
+    for pattern, count in found:
+        exact[tuple(sorted(pattern, reverse=True))] += count
+    plans = []
+    for least in (1, capacity):  # with gaps, which best fit fills, or without, so that best fit has more pieces to choose from
+        started = {pattern: n for pattern, count in exact.items() if sum(pattern) >= least and (n := int(count + 1e-6))}
+        rest = demand.copy()
+        for pattern, n in started.items():
+            for length in pattern:
+                rest[length] -= n
+        whole: dict[tuple[int, ...], int] = defaultdict(int)
+        for pattern, n in best_fit(rest, capacity, list(started.items())):
             whole[tuple(sorted(pattern, reverse=True))] += n
-    return sorted(whole.items(), reverse=True)
+        if full:
+            whole[(capacity,)] += full
+        plans.append(Plan(sorted(whole.items(), reverse=True), sum(started.values()) + full, int(np.ceil(bound - 1e-6)) + full))
+    return min(plans, key=lambda p: p.sequences)
 
 
 def slots(patterns: list[tuple[tuple[int, ...], int]]) -> dict[int, np.ndarray]:
@@ -210,7 +249,7 @@ def pack_documents(docs: DataFrame, capacity: int = 2048, vocabulary: str = VOCA
     spark = docs.sparkSession
     pieces = settled(pieces_of(docs, capacity, vocabulary, id_col, text_col, with_ids))
     histogram = {r[0]: r[1] for r in pieces.groupBy("length").count().collect()}
-    where = spark.sparkContext.broadcast(slots(plan(histogram, capacity)))
+    where = spark.sparkContext.broadcast(slots(plan(histogram, capacity).patterns))
     buckets = max(1, -(-sum(histogram.values()) // BUCKET_ROWS)) * 8
     dealt = pieces.withColumn("bucket", F.pmod(F.xxhash64("id", "piece", "ids_crc32"), F.lit(buckets)))
     counts = dealt.groupBy("length", "bucket").agg(F.count(F.lit(1)).alias("n"))

@@ -98,10 +98,42 @@ def test_packing(docs, none):
     histogram = {5: 7, 9: 3, 33: 4, 64: 2, 31: 4}
     plan = packing.plan(histogram, 64, rounds=20)
     filled = np.zeros(65, int)
-    for pattern, n in plan:
+    for pattern, n in plan.patterns:
+        assert sum(pattern) <= 64
         for length in pattern:
             filled[length] += n
-    assert {k: v for k, v in enumerate(filled) if v} == histogram
+    assert {k: v for k, v in enumerate(filled) if v} == histogram and plan.bound <= plan.sequences
+
+
+def _fewest(pieces, capacity):
+    """Least sequences by trying all: pieces in descending order go to each open sequence or to a new one."""
+    best = [len(pieces)]
+
+    def place(k, rooms):
+        if len(rooms) >= best[0]:
+            return
+        if k == len(pieces):
+            best[0] = len(rooms)
+            return
+        for at in {r: i for i, r in enumerate(rooms) if r >= pieces[k]}.values():
+            place(k + 1, rooms[:at] + [rooms[at] - pieces[k]] + rooms[at + 1 :])
+        place(k + 1, [*rooms, capacity - pieces[k]])
+
+    place(0, [])
+    return best[0]
+
+
+def test_packing_against_the_fewest_sequences():
+    rng = np.random.default_rng(5)
+    for _ in range(25):
+        pieces = sorted(rng.integers(1, 21, size=9).tolist(), reverse=True)
+        histogram = dict(zip(*(x.tolist() for x in np.unique(pieces, return_counts=True))))
+        plan = packing.plan(histogram, 20, rounds=30)
+        fewest = _fewest(pieces, 20)
+        assert plan.bound <= fewest <= plan.sequences <= fewest + 1
+    many = {int(k): int(n) for k, n in zip(range(40, 1900, 7), rng.integers(1, 400, size=270))}
+    plan = packing.plan(many, 2048)
+    assert plan.sequences <= 1.003 * plan.bound and 2 * plan.rounded > plan.sequences
 
 
 def test_packing_ids_equal_the_tokenizer():
@@ -109,9 +141,12 @@ def test_packing_ids_equal_the_tokenizer():
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    t.encode_special_tokens = True
-    for text in ("a  b\n\nc", "été <|endoftext|> x", "\t tab 123 's", "🙂"):
-        assert np.frombuffer(packing.token_bytes(text), "<u4").tolist() == t.encode(text, add_special_tokens=False).ids
+    import pyarrow.parquet as pq
+
+    texts = ["a  b\n\nc", "été <|endoftext|> x", "<|endoftext|> hi", "\t tab 123 's", "🙂", " " * 1_500_000, "x" + "\n\t" * 60_000 + "y <|endoftext|>" + " " * 60_000]
+    texts += [x or "" for x in pq.read_table("/root/testdata/sf0.01/documents.parquet").column("text").to_pylist()]
+    for text in texts:
+        assert np.frombuffer(packing.text_ids(text), "<u4").tolist() == t.encode(text, add_special_tokens=False).ids
 
 
 def test_quality_and_decontamination(docs, none, spark):
