@@ -18,18 +18,19 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import release, settled
-from .graph import components
-from .hashing import Bits, mix, set_digest, shingle_set
+from corpusmill.operators.components import merge_labels
 
-#: The sketch has 2**LOG_SLOTS counters, merged in chunks; the bit map of wanted sets has 2**LOG_BITS bits.
-LOG_SLOTS, CHUNK, LOG_BITS = 18, 2048, 26
+from .common import Members, release, settled
+from .hashing import set_digest, shingle_set
+
+#: The sketch has 2**LOG_SLOTS counters, merged in chunks.
+LOG_SLOTS, CHUNK = 18, 2048
 #: A prefix shingle that the sketch counts this many times above the mean has its group split in parts 1 to SPLIT; part 0 is a whole group.
 HOT, SPLIT = 2_000, 16
 #: Ranges of hashes whose sizes the suffix bound compares.
 PARTS = 64
-#: Sets that a verifying task remembers.
-REMEMBERED = 512
+#: Sets that a verifying task remembers, and classes that a dealing task remembers to have sent.
+REMEMBERED, SENT = 512, 1 << 18
 
 
 def _texts(docs: DataFrame, id_col: str, text_col: str, unique: bool = True) -> DataFrame:
@@ -101,6 +102,8 @@ def prefix_rows(texts: DataFrame, counts: np.ndarray, size: int, percent: int) -
                 n = len(s)
                 if not n or (cls := set_digest(s)) in seen:  # copies in this task add nothing
                     continue
+                if len(seen) >= SENT:
+                    seen.clear()
                 seen.add(cls)
                 often = counts[(s >> np.uint64(64 - LOG_SLOTS)).astype(np.int64)]
                 first = np.lexsort((s, often))[: n - (percent * n + 99) // 100 + 1]
@@ -130,27 +133,28 @@ def possible(pairs: DataFrame, percent: int) -> DataFrame:
 
 
 def verified(pairs: DataFrame, classes: DataFrame, texts: DataFrame, size: int, percent: int) -> DataFrame:
-    """Of distinct pairs (x, y, n, m) those whose whole sets overlap enough; the suffix bound goes first, then texts meet, packed."""
+    """Of distinct pairs (x, y, n, m) those whose whole sets overlap enough, as (a, b); the suffix bound goes first, then texts meet, packed."""
     own = classes.select("rep", "parts")
     pairs = pairs.join(own.select(F.col("rep").alias("x"), F.col("parts").alias("px")), "x").join(own.select(F.col("rep").alias("y"), F.col("parts").alias("py")), "y")
     most = F.expr("aggregate(zip_with(px, py, (a, b) -> least(a, b)), 0L, (s, v) -> s + v)")
     pairs = settled(pairs.where(most >= needed(F.col("n"), F.col("m"), percent)).select("x", "y"))
+    if pairs.isEmpty():
+        return pairs.toDF("a", "b")
     wanted = pairs.select(F.col("x").alias("key")).union(pairs.select("y")).distinct()
-    held = texts.sparkSession.sparkContext.broadcast(_bits(wanted))
+    held = texts.sparkSession.sparkContext.broadcast(Members.of(wanted.select(F.xxhash64("key").alias("h")), "h"))
     schema = pa.schema([("key", pa.int64()), ("body", pa.binary())])
 
     def pack(batches):
         import zstandard
 
-        bits, press = Bits(LOG_BITS, held.value), zstandard.ZstdCompressor(level=3)
+        members, press = held.value, zstandard.ZstdCompressor(level=3)
         for batch in batches:
-            keys = np.array([-1 if i is None else i for i in batch.column(0).to_pylist()], np.int64)
-            rows = np.flatnonzero(bits.has(mix(keys.view(np.uint64))))
+            rows = np.flatnonzero(members.has(batch.column(2).to_numpy()))
             if len(rows):
                 found = batch.take(pa.array(rows))
                 yield pa.RecordBatch.from_arrays([found.column(0), pa.array([press.compress(t) for t in found.column(1).to_pylist()], pa.binary())], schema=schema)
 
-    bodies = texts.select("key", "text").mapInArrow(pack, "key long, body binary")
+    bodies = texts.select("key", "text", F.xxhash64("key").alias("h")).mapInArrow(pack, "key long, body binary")
     bodies = settled(bodies.join(wanted, "key", "left_semi").dropDuplicates(["key"]))
 
     def check(batches):
@@ -172,7 +176,7 @@ def verified(pairs: DataFrame, classes: DataFrame, texts: DataFrame, size: int,
                 s, t = members(a, ba), members(b, bb)
                 both = len(np.intersect1d(s, t, assume_unique=True))
                 keep.append(100 * both >= percent * (len(s) + len(t) - both))
-            yield pa.RecordBatch.from_arrays(batch.columns[:2], names=["a", "b"]).filter(pa.array(keep))
+            yield pa.RecordBatch.from_arrays(batch.columns[:2], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     both = pairs.join(bodies.select(F.col("key").alias("x"), F.col("body").alias("bx")), "x").join(bodies.select(F.col("key").alias("y"), F.col("body").alias("by")), "y")
     links = settled(both.select("x", "y", "bx", "by").mapInArrow(check, "a long, b long"))
@@ -180,24 +184,6 @@ def verified(pairs: DataFrame, classes: DataFrame, texts: DataFrame, size: int,
     return links
 
 
-def _bits(wanted: DataFrame) -> bytes:
-    """The bit map of wanted keys; tasks send their maps, which have a fixed size, compressed."""
-    import zlib
-
-    def fill(batches):
-        bits, some = Bits(LOG_BITS), False
-        for batch in batches:
-            some |= batch.num_rows > 0
-            bits.add(mix(batch.column(0).to_numpy().view(np.uint64)))
-        if some:
-            yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(bits.map.tobytes(), 1)], pa.binary())], names=["map"])
-
-    out = Bits(LOG_BITS)
-    for row in wanted.select("key").coalesce(4).mapInArrow(fill, "map binary").toLocalIterator():
-        out.map |= np.frombuffer(zlib.decompress(row[0]), np.uint8)
-    return out.map.tobytes()
-
-
 def _ordered(x: str, y: str) -> list[Column]:
     """Columns x, n, i, s, y, m, j, t with x the lesser key."""
     swap = F.col(x) > F.col(y)
@@ -205,6 +191,13 @@ def _ordered(x: str, y: str) -> list[Column]:
     return [pick(x, y).alias("x"), pick(y, x).alias("y"), pick("n", "m").alias("n"), pick("m", "n").alias("m"), pick("i", "j").alias("i"), pick("j", "i").alias("j"), pick("s", "t").alias("s"), pick("t", "s").alias("t")]
 
 
+def _mixed(groups: DataFrame, labels: DataFrame) -> DataFrame:
+    """Rows of the groups that hold several components, with their roots and their group's leader; settled."""
+    rooted = groups.join(labels.select(F.col("node").alias("key"), "root"), "key")
+    heads = rooted.groupBy("token").agg(F.min(F.struct("pos", "n", "key", "s", "root")).alias("leader"), F.min("root").alias("r0"), F.max("root").alias("r1"))
+    return settled(rooted.join(heads.where("r0 <> r1").select("token", "leader"), "token"))
+
+
 def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: n_shingles and component_id, the smallest id that links reach from it."""
     spark = docs.sparkSession
@@ -231,29 +224,34 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     heads = shared.where("key = leader.key").groupBy("token").agg(F.min("leader").alias("top"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
     across = shared.where("key = leader.key").join(heads, "token").where("key <> top.key").select("key", *two("top"))
     tested = settled(possible(star.union(across).select(*_ordered("key", "l")), percent))
-    links = verified(tested, classes, texts, size, percent)
-    roots = components(links)
+    # each class meets one leader first; then only what is still apart from a leader meets it
+    first = settled(tested.groupBy("y").agg(F.min(F.struct("x", "n", "m")).alias("l")).select("l.x", "y", "l.n", "l.m"))
+    release(spark, tested)
+    labels = shared.select(F.col("key").alias("node"), F.col("key").alias("root")).distinct()
+    labels = merge_labels(labels, verified(first, classes, texts, size, percent))
+    groups = shared.select("token", "key", "n", "pos", "s")
+    left = _mixed(groups, labels)
+    release(spark, shared)
+    star = left.where("key <> leader.key and root <> leader.root").select("key", *two("leader"))
+    second = possible(star.select(*_ordered("key", "l")), percent).join(first.select("x", "y"), ["x", "y"], "left_anti")
+    labels = merge_labels(labels, verified(second, classes, texts, size, percent))
+    before, left = left, _mixed(left.select(groups.columns), labels)
+    release(spark, before)
     # members of a group that are apart from its leader's component are compared with all of the group
-    labelled = shared.join(roots.withColumnRenamed("node", "key"), "key", "left").select("token", "key", "n", "pos", "s", F.coalesce("root", "key").alias("root"))
-    mains = labelled.groupBy("token").agg(F.min_by("root", F.struct("pos", "n", "key")).alias("main"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("token", "main")
-    left = settled(labelled.join(mains, "token").distinct())
-    x = left.where("root <> main").select("token", F.col("key").alias("c"), "n", F.col("pos").alias("i"), "s", F.col("root").alias("rx"), "main")
-    y = left.select("token", F.col("key").alias("d"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("s").alias("t"), F.col("root").alias("ry"))
+    x = left.where("root <> leader.root and key <> leader.key").select("token", F.col("key").alias("c"), "n", F.col("pos").alias("i"), "s", F.col("root").alias("rx"), F.col("leader.root").alias("main"))
+    y = left.where("key <> leader.key").select("token", F.col("key").alias("d"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("s").alias("t"), F.col("root").alias("ry"))
     n, m = F.col("n"), F.col("m")
     # the first shared shingle of a linked pair lies this early in both sets
     early = (F.col("i") <= n - needed(n, m, percent)) & (F.col("j") <= m - needed(n, m, percent))
     fit = F.expr("rx <> ry and (ry = main or c < d)") & early & (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (bound(n, F.col("i"), F.col("s"), m, F.col("j"), F.col("t")) >= needed(n, m, percent))
     met = x.join(y, "token").where(fit).select(*_ordered("c", "d"))
-    # here every shared prefix shingle of a pair is seen: they and what follows the last one bound the overlap
+    # pairs with a leader are settled, so here every shared prefix shingle of a pair is seen: they and what follows the last one bound the overlap
     met = met.groupBy("x", "y", "n", "m").agg((F.count(F.lit(1)) + F.least(n - F.max("i"), m - F.max("j")) - 1).alias("most")).where(F.col("most") >= needed(n, m, percent))
-    more = settled(met.select("x", "y", "n", "m").join(tested.select("x", "y"), ["x", "y"], "left_anti"))
-    more_links = verified(more, classes, texts, size, percent)
-    if not more_links.isEmpty():
-        roots = components(links.union(more_links))
-    named = classes.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("cls", "least", F.coalesce("root", "rep").alias("root"))
+    labels = merge_labels(labels, verified(met.select("x", "y", "n", "m"), classes, texts, size, percent))
+    named = classes.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("cls", "least", F.coalesce("root", "rep").alias("root"))
     smallest = named.groupBy("root").agg(F.min("least").alias("component_id"))
     final = settled(named.join(smallest, "root").select("cls", "component_id"))
-    release(spark, shared, left, tested, more)
+    release(spark, first, left)
     out = rows.select("id", "n", "cls").join(final, "cls", "left")
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
 
