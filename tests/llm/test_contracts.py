@@ -1,6 +1,7 @@
 """Base columns of the scans and digests against plain readings of their contracts, over whole tables."""
 
 import hashlib
+import random
 import re
 from pathlib import Path
 
@@ -128,25 +129,90 @@ def distance(x, y):
     return row[-1]
 
 
-def test_fuzzy_lines(spark, texts):
-    places = sorted((i, k, line) for i, t in texts.items() for k, x in enumerate(t.split("\n")) if (line := fuzzy_lines.normalise(x)))
-    lines = sorted({x for _, _, x in places})
-    fps, root = fuzzy_lines.fingerprints(lines), list(range(len(lines)))
+def test_edit_distance_bound():
+    rng = random.Random(3)
+    for _ in range(3000):
+        a, b = ("".join(rng.choice("abé") for _ in range(rng.randrange(12))) for _ in range(2))
+        d = distance(a, b)
+        assert [fuzzy_lines.within(a, b, k) for k in range(12)] == [d <= k for k in range(12)]
+
+
+def roots_of(n, links):
+    root = list(range(n))
 
     def find(k):
         while root[k] != k:
+            root[k] = root[root[k]]
             k = root[k]
         return k
 
+    for x, y in links:
+        x, y = find(x), find(y)
+        root[max(x, y)] = min(x, y)
+    return [find(k) for k in range(n)]
+
+
+def near_links(lines):
+    """All pairs of lines with an edit similarity of 80 % or more, by lengths, counts of letters and the distance alone."""
+    size = np.array([len(x) for x in lines])
+    letters = np.zeros((len(lines), 1100), np.int16)
+    for k, x in enumerate(lines):
+        b = np.frombuffer(x.encode("utf-32-le"), np.uint32).astype(np.int64)
+        letters[k, :76] = np.bincount(b % 76, minlength=76)
+        letters[k, 76:] = np.bincount((b[:-1] * 31 + b[1:]) % 1024, minlength=1024)
     for k, x in enumerate(lines):
-        for j in k + 1 + np.flatnonzero(np.bitwise_count(fps[k + 1 :] ^ fps[k]) <= fuzzy_lines.DISTANCE):
-            most = max(len(x), len(lines[j]))
-            if 100 * min(len(x), len(lines[j])) >= 80 * most and distance(x, lines[j]) <= 20 * most // 100:
-                a, b = find(k), find(int(j))
-                root[max(a, b)] = min(a, b)
-    number, stays = {x: k for k, x in enumerate(lines)}, {}
-    gone = {i: [] for i in texts}
+        most = np.maximum(size[k + 1 :], size[k]) * 20 // 100
+        apart = np.abs(letters[k + 1 :] - letters[k])
+        near = (np.abs(size[k + 1 :] - size[k]) <= most) & (apart[:, :76].sum(1) <= 2 * most) & (apart[:, 76:].sum(1) <= 4 * most)
+        for j in k + 1 + np.flatnonzero(near):
+            if fuzzy_lines.within(x, lines[j], max(len(x), len(lines[j])) * 20 // 100):
+                yield k, int(j)
+
+
+def test_fuzzy_lines(spark, texts):
+    """Groups of the operator against all links by edit similarity, found without fingerprints or blocks."""
+    places = sorted((i, k, line) for i, t in texts.items() for k, x in enumerate(t.split("\n")) if (line := fuzzy_lines.normalise(x)))
+    lines = sorted({x for _, _, x in places})
+    links = list(near_links(lines))
+    true = dict(zip(lines, roots_of(len(lines), links)))
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    found = fuzzy_lines.line_roots(fuzzy_lines.occurrences(docs, "doc_id", "text"), docs, 80, "doc_id", "text")
+    keys = {fuzzy_lines.line_key(x): x for x in lines}
+    mine = {x: x for x in lines} | {keys[r.key]: keys[r.root] for r in found.collect()}
+    assert all(true[x] == true[y] for x, y in mine.items())
+    kept = sum(mine[lines[a]] == mine[lines[b]] for a, b in links)
+    assert len(links) >= 20 and kept >= 0.9 * len(links), (kept, len(links))
+    stays, gone = {}, {i: [] for i in texts}
     for i, pos, x in places:
-        if stays.setdefault(find(number[x]), (i, pos)) != (i, pos):
+        if stays.setdefault(mine[x], (i, pos)) != (i, pos):
             gone[i].append(pos)
     assert {i: r.removed_lines for i, r in got(spark, "op9_fuzzy_lines").items()} == {i: ",".join(map(str, x)) for i, x in gone.items()}
+
+
+def edited(line, kind, rng, words):
+    w = line.split()
+    if kind == "letter":
+        k = rng.randrange(len(line))
+        return line[:k] + rng.choice("abcdefghij") + line[k + 1 :]
+    if kind == "word added":
+        w.insert(rng.randrange(len(w) + 1), rng.choice(words))
+    else:
+        for _ in range(max(1, int(len(w) * {"word": 0, "twentieth": 0.05, "tenth": 0.1}[kind]))):
+            w[rng.randrange(len(w))] = rng.choice(words)
+    return " ".join(w)
+
+
+@pytest.mark.parametrize("kind", ["letter", "word", "word added", "twentieth", "tenth"])
+def test_edited_lines_share_a_block(texts, kind):
+    """Share of edited copies within the similarity that meet their line, over all lines and over short ones."""
+    rng = random.Random(7)
+    lines = sorted({line for t in texts.values() for x in t.split("\n") if len(line := fuzzy_lines.normalise(x)) >= fuzzy_lines.SHORTEST})
+    words = sorted({w for x in lines for w in x.split()})
+    pairs = [(x, y) for x in lines if (y := edited(x, kind, rng, words)) != x and fuzzy_lines.within(x, y, max(len(x), len(y)) * 20 // 100)]
+    sides = [[set() for _ in pairs] for _ in range(2)]
+    for side, batch in zip(sides, zip(*pairs)):
+        for k, b in zip(*fuzzy_lines.blocks(list(batch))):
+            side[k].add(int(b))
+    met = [bool(a & b) for a, b in zip(*sides)]
+    short = [m for m, (x, _) in zip(met, pairs) if len(x.split()) <= 15]
+    assert np.mean(met) >= 0.95 and np.mean(short) >= 0.95, (np.mean(met), np.mean(short))
