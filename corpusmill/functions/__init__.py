@@ -1 +1 @@
-
+"""Vectorised functions that run inside Arrow batches."""

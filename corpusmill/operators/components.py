@@ -38,9 +38,19 @@ def components(edges: DataFrame) -> DataFrame:
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).union(now.select("b", "b")).distinct()
 
 
-def merge_labels(labels: DataFrame, links: DataFrame) -> DataFrame:
-    """labels (node, root) after links (a, b) between nodes: roots that links join become the least of them; settled."""
+def moved_roots(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """(root, to): roots of labels (node, root) that links (a, b) between nodes join with lesser ones, and those."""
     of = lambda end: labels.select(F.col("node").alias(end), F.col("root").alias("r" + end))
     between = links.join(of("a"), "a").join(of("b"), "b").where("ra <> rb")
-    moved = components(_pairs(between, "ra", "rb")).toDF("root", "to")
-    return settled(labels.join(moved, "root", "left").select("node", F.coalesce("to", "root").alias("root")))
+    return components(_pairs(between, "ra", "rb")).toDF("root", "to").where("root <> to")
+
+
+def relabelled(rows: DataFrame, moved: DataFrame, column: str = "root") -> DataFrame:
+    """rows with the roots in a column replaced by those that they moved to."""
+    to = moved.select(F.col("root").alias(column), F.col("to").alias("__to"))
+    return rows.join(to, column, "left").select(*(F.coalesce("__to", column).alias(c) if c == column else c for c in rows.columns))
+
+
+def merge_labels(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """labels (node, root) after links (a, b) between nodes: roots that links join become the least of them; settled."""
+    return settled(relabelled(labels, moved_roots(labels, links)))

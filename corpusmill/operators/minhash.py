@@ -1,7 +1,7 @@
 """Word and character shingles, MinHash, banding, candidate edges, verification and fuzzy deduplication.
 
-The small configurations are expressions that SQL can repeat; the production kernel is one Arrow function from text to band keys,
-so signatures never leave a task. Buckets are linked to their least member first; where links are verified,
+The small configurations are aggregates that SQL can repeat; the production kernel is one Arrow function from text to band keys,
+so signatures never leave a task, and band keys are settled once. Buckets are linked to their least member first; where links are verified,
 only members that are still apart in a bucket are compared further.
 """
 
@@ -14,6 +14,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from corpusmill.functions.hashing import Ranges, mix
 from corpusmill.operators.components import components
 from corpusmill.plans.durable import settled
 from corpusmill.schema import tokens
@@ -42,18 +43,12 @@ def gram_hash(gram: Column) -> Column:
     return F.conv(F.substring(F.md5(gram), 1, 8), 16, 10).cast("long") % P
 
 
-def signature(hashes: Column, k: int) -> Column:
-    a, c = constants(k)
-    def least(i: int) -> Column:
-        return F.array_min(F.transform(hashes, lambda x: (x * F.lit(a[i]) + F.lit(c[i])) % F.lit(P)))
-
-    return F.array(*map(least, range(k)))
-
-
 def signatures(files: DataFrame, k: int = 16, n: int = 5) -> DataFrame:
-    grams = files.select("file_id", shingles(F.col("text"), n).alias("grams")).where("size(grams) > 0")
-    hashed = grams.select("file_id", F.transform("grams", gram_hash).alias("x"))
-    return hashed.select("file_id", signature(F.col("x"), k).alias("sig"))
+    """(file_id, sig): least values of k hashes over a file's n-grams, as k minima that are combined before the exchange."""
+    a, c = constants(k)
+    grams = files.select("file_id", F.explode(shingles(F.col("text"), n)).alias("gram")).select("file_id", gram_hash(F.col("gram")).alias("x"))
+    least = grams.groupBy("file_id").agg(*(F.min((F.col("x") * a[i] + c[i]) % P).alias(f"h{i}") for i in range(k)))
+    return least.select("file_id", F.array(*(f"h{i}" for i in range(k))).alias("sig"))
 
 
 def bands(sigs: DataFrame, b: int, r: int) -> DataFrame:
@@ -62,13 +57,17 @@ def bands(sigs: DataFrame, b: int, r: int) -> DataFrame:
 
 
 def bucket_edges(banded: DataFrame) -> DataFrame:
-    """Star edges (a, b): each member of a bucket to its least one."""
-    least = banded.groupBy("band", "key").agg(F.min("file_id").alias("b"), F.count(F.lit(1)).alias("n")).where("n > 1").select("band", "key", "b")
+    """Star edges (a, b): each member of a bucket to its least one. Keys are settled, for both sides of the join need them."""
+    banded = settled(banded)
+    least = banded.groupBy("band", "key").agg(F.min("file_id").alias("b"), F.max("file_id").alias("last")).where("b <> last").select("band", "key", "b")
     return banded.join(least, ["band", "key"]).where("file_id <> b").select(F.col("file_id").alias("a"), "b").distinct()
 
 
 def verify_edges(edges: DataFrame, files: DataFrame, percent: int, n: int = 5) -> DataFrame:
-    grams = files.select("file_id", shingles(F.col("text"), n).alias("g"))
+    """Edges of the similarity, by 64-bit hashes of the n-grams of files that have an edge."""
+    edges = settled(edges)
+    needed = edges.select(F.col("a").alias("file_id")).union(edges.select("b")).distinct()
+    grams = settled(files.select("file_id", "text").join(needed, "file_id", "left_semi").select("file_id", F.transform(shingles(F.col("text"), n), lambda x: F.xxhash64(x)).alias("g")))
     both = edges.join(grams.select(F.col("file_id").alias("a"), F.col("g").alias("ga")), "a").join(grams.select(F.col("file_id").alias("b"), F.col("g").alias("gb")), "b")
     inter = F.size(F.array_intersect("ga", "gb"))
     return both.withColumn("inter", inter).withColumn("uni", F.size("ga") + F.size("gb") - F.col("inter")).where(100 * F.col("inter") >= percent * F.col("uni")).select("a", "b", "inter", "uni")
@@ -79,6 +78,7 @@ def bucket_links(banded: DataFrame, files: DataFrame, percent: int, n: int = 5)
 
     Stars are verified first; in buckets that still hold several components, members outside the least one are compared with those of other components.
     """
+    banded = settled(banded)
     tested = settled(bucket_edges(banded))
     links = settled(verify_edges(tested, files, percent, n).select("a", "b"))
     roots = components(links).toDF("file_id", "root")
@@ -94,21 +94,48 @@ def bucket_links(banded: DataFrame, files: DataFrame, percent: int, n: int = 5)
     return links.union(verify_edges(more, files, percent, n).select("a", "b"))
 
 
+def gram_hashes(text: str | None, n: int, unit: str) -> np.ndarray:
+    """Distinct 64-bit hashes of the n-grams of words or characters; a shorter text is one gram."""
+    low = (text or "").lower()
+    if unit == "word":
+        words = low.split()
+        if not words:
+            return np.empty(0, np.uint64)
+        raw = " ".join(words).encode("utf-8", "surrogatepass")
+        gaps = np.flatnonzero(np.frombuffer(raw, np.uint8) == 32)
+        start, end = np.concatenate([[0], gaps + 1]), np.concatenate([gaps, [len(raw)]])
+        wide = min(n, len(words))
+        return np.unique(Ranges(raw).of(start[: len(words) - wide + 1], end[wide - 1 :]))
+    points = np.frombuffer(low.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    wide = min(n, len(points))
+    out = np.zeros(len(points) - wide + 1 if wide else 0, np.uint64)
+    for i in range(wide):
+        out = mix(out + points[i : i + len(out)] + np.uint64(1))
+    return np.unique(out)
+
+
+def least_values(grams: np.ndarray, k: int) -> np.ndarray:
+    """k least values over the grams: each hash turns the mixed gram over and multiplies it by an odd number, modulo 2**32."""
+    own = mix(np.arange(1, 2 * k + 1, dtype=np.uint64))
+    turn, odd = own[:k].astype(np.uint32), own[k:].astype(np.uint32) | np.uint32(1)
+    x = (mix(grams) >> np.uint64(32)).astype(np.uint32)
+    sig = np.full(k, 0xFFFFFFFF, np.uint32)
+    for at in range(0, len(x), 128):
+        np.minimum(sig, ((x[at : at + 128, None] ^ turn) * odd).min(axis=0), out=sig)
+    return sig
+
+
+def band_keys(sig: np.ndarray, b: int, r: int) -> np.ndarray:
+    place = mix(np.arange(1, r + 1, dtype=np.uint64)) | np.uint64(1)
+    return mix((mix(sig.reshape(b, r).astype(np.uint64)) * place).sum(axis=1, dtype=np.uint64))
+
+
 def band_kernel(k: int, b: int, r: int, n: int, unit: str):
-    """Arrow function from texts to band keys; k hashes in b bands of r."""
-    a, c = (np.array(x, np.uint64) for x in constants(k))
+    """Arrow function from texts to band keys; k hashes in b bands of r. A text without grams has none."""
 
     def sketch(text: str | None) -> list[int]:
-        units = (text or "").lower().split() if unit == "word" else list((text or "").lower())
-        if not units:
-            return []
-        join = " ".join if unit == "word" else "".join
-        grams = {join(units[i : i + n]) for i in range(max(1, len(units) - n + 1))}
-        x = pd.util.hash_array(np.array(list(grams), dtype=object), categorize=False) % np.uint64(P)
-        sig = np.full(k, P, np.uint64)
-        for at in range(0, len(x), 256):
-            np.minimum(sig, ((a[:, None] * x[at : at + 256] + c[:, None]) % np.uint64(P)).min(axis=1), out=sig)
-        return pd.util.hash_array(np.array([s.tobytes() for s in sig.reshape(b, r)], dtype=object), categorize=False).view(np.int64).tolist()
+        grams = gram_hashes(text, n, unit)
+        return band_keys(least_values(grams, k), b, r).view(np.int64).tolist() if len(grams) else []
 
     @F.pandas_udf("array<long>")
     def keys(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
@@ -139,7 +166,7 @@ def fuzzy_dedup(files: DataFrame, k: int = 2048, b: int = 16, r: int = 128, n: i
     if verify is None:
         edges = fuzzy_edges(files, k, b, r, n, unit)
     else:
-        edges = bucket_links(settled(text_bands(files, k, b, r, n, unit)), files, verify, n)
+        edges = bucket_links(text_bands(files, k, b, r, n, unit), files, verify, n)
     return keep_best(files, components(edges.select("a", "b")))
 
 

@@ -1,10 +1,17 @@
-"""Recall of target pages from a crawl: log-odds classifier, host discovery, prefix annotation, and the loop over them."""
+"""Recall of target pages from a crawl: classifiers, host discovery, prefix annotation, and the loop over them.
+
+The averaged-vector classifier (operators/classifier.py) is the method; log-odds is the comparator that SQL can repeat.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from corpusmill.operators import classifier
 from corpusmill.plans.durable import settled
 from corpusmill.schema import tokens
 
@@ -31,10 +38,28 @@ def train(seed: DataFrame) -> DataFrame:
     return counts.crossJoin(F.broadcast(totals)).select("w", (F.log((F.col("p") + 1.0) / (F.col("tp") + F.col("v"))) - F.log((F.col("q") + 1.0) / (F.col("tq") + F.col("v")))).alias("odds"))
 
 
-def score(rows: DataFrame, model: DataFrame) -> DataFrame:
-    """(id, score): mean odds of a row's known words; words are counted per row before they meet the model."""
+def score(rows: DataFrame, model: DataFrame, parts: int = 16) -> DataFrame:
+    """(id, score): mean odds of a row's known words; words are counted per row first, and a frequent word's rows are dealt to `parts` keys."""
     words = rows.select("id", F.explode(tokens(F.col("text"))).alias("w")).groupBy("id", "w").agg(F.count(F.lit(1)).alias("c"))
-    return words.join(model, "w").groupBy("id").agg(F.round(F.sum(F.col("c") * F.col("odds")) / F.sum("c"), 6).alias("score"))
+    dealt = words.withColumn("part", F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int"))
+    wide = model.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+    return dealt.join(wide, ["w", "part"]).groupBy("id").agg(F.round(F.sum(F.col("c") * F.col("odds")) / F.sum("c"), 6).alias("score"))
+
+
+def log_odds(seed: DataFrame) -> Callable[[DataFrame], DataFrame]:
+    model = train(seed)
+    return lambda rows: score(rows, model)
+
+
+def averaged(seed: DataFrame, settings: classifier.Settings = classifier.Settings()) -> Callable[[DataFrame], DataFrame]:
+    model = classifier.fit(seed, settings)
+    return lambda rows: classifier.score(rows, model)
+
+
+def recall_many(corpora: dict[str, DataFrame], scorer: Callable[[DataFrame], DataFrame], cut: float) -> DataFrame:
+    """(origin, id): rows of each corpus that score over the cut; ids are unique within a corpus only."""
+    parts = [scorer(df).where(F.col("score") > cut).select(F.lit(origin).alias("origin"), "id") for origin, df in corpora.items()]
+    return reduce(DataFrame.union, parts)
 
 
 def discover(pages: DataFrame, hits: DataFrame, min_share: float = 0.1, min_pages: int = 1) -> DataFrame:
@@ -50,16 +75,22 @@ def expand(pages: DataFrame, hits: DataFrame, domains: DataFrame, prefixes: list
     return marked.join(domains.select("host"), "host", "left_semi").join(hits.select("id"), "id", "left_anti")
 
 
-def loop(pages: DataFrame, seed: DataFrame, prefixes: list[str], rounds: int = 3, cut: float = 0.0) -> DataFrame:
-    """(round, n_seed, n_hits, n_domains); each round's seed is settled, and rounds end early if it stops growing."""
-    history, before = None, -1
+def loop(pages: DataFrame, seed: DataFrame, prefixes: list[str], rounds: int = 3, cut: float = 0.5, fit: Callable = averaged) -> DataFrame:
+    """(round, n_seed, n_hits, n_domains, n_added): train, recall, discover, annotate; what annotation adds joins the next round's seed.
+
+    Each round's seed is settled, a page joins the seed once, and rounds end early if the seed stops growing.
+    """
+    rows = []
+    spark = pages.sparkSession
+    seed = settled(seed.select(F.col("id").cast("long").alias("id"), "text", "y", F.lit(False).alias("page")))
     for k in range(1, rounds + 1):
-        n = seed.count()
-        if n == before:
+        hits = settled(fit(seed)(pages).where(F.col("score") > cut))
+        domains = settled(discover(pages, hits))
+        known = seed.where("page").select("id")
+        added = settled(expand(pages, hits, domains, prefixes).join(known, "id", "left_anti").select(F.col("id").cast("long").alias("id"), "text", F.lit(1).alias("y"), F.lit(True).alias("page")))
+        n = added.count()
+        rows.append((k, seed.count(), hits.count(), domains.count(), n))
+        if not n:
             break
-        hits = settled(score(pages, train(seed)).where(F.col("score") > cut))
-        domains = discover(pages, hits)
-        row = hits.agg(F.lit(k).alias("round"), F.lit(n).alias("n_seed"), F.count(F.lit(1)).alias("n_hits")).crossJoin(domains.agg(F.count(F.lit(1)).alias("n_domains")))
-        history = row if history is None else history.union(row)
-        seed, before = settled(seed.select("text", "y").union(expand(pages, hits, domains, prefixes).select("text", F.lit(1).alias("y")))), n
-    return history
+        seed = settled(seed.unionByName(added))
+    return spark.createDataFrame(rows, "round int, n_seed long, n_hits long, n_domains long, n_added long")
