@@ -1,15 +1,19 @@
 """Benchmark decontamination as a prefix-filtered set join. Built-in functions only.
 
-A window is ten consecutive words of a benchmark item (all words of a shorter one). For a window to lie in a
-document, each of its words must; so the prefix that has to be joined is its rarest word, by counts over all documents.
-Words of a document that are some window's rarest become join rows with the few words around them; positional and length
-bounds drop those where the window would not fit, and the rest are compared word by word.
+A window is ten consecutive words of a benchmark item (all words of a shorter one); its set is that of its shingles of SHINGLE words (a shorter window is
+one shingle). Shingles are ordered by how often they occur in all documents. For a window to lie in a document all of its shingles must, so the
+prefix that has to be joined is its rarest one. Shingles of a document that lead some window become join rows; positional and length
+bounds drop those where the window would not fit, and the rest are compared word by word over the item-sized window.
+Where the leading shingles are few, the documents' arrays are filtered by them and only the hits with the words around them are joined, by broadcast; where they are
+many, places meet windows in a shuffle and words are fetched for the documents that have a place.
 Defined results: null text has no words; a benchmark row with null text or id has no windows; each input row gives one row, so
 repeated rows repeat; without benchmark items nothing is hit; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -19,8 +23,10 @@ from .common import settled
 #: What separates words once A-Z are lower case.
 SEPARATORS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: Benchmark sides up to this many rows are broadcast or made a set in the plan; larger ones are joined by shuffle.
-SMALL = 100_000
+#: Words of a shingle.
+SHINGLE = 3
+#: Benchmark sides of up to this many rows and bytes are broadcast or made a set in the plan; larger ones are joined by shuffle.
+SMALL, SMALL_BYTES = 100_000, 32 << 20
 
 
 def words_of(text: Column) -> Column:
@@ -36,41 +42,67 @@ def windows_of(bench: DataFrame, size: int, item_col: str, text_col: str) -> Dat
     return items.select("item", F.explode(F.expr(f"if(size(w) <= {size}, array(w), transform(sequence(1, size(w) - {size - 1}), i -> slice(w, i, {size})))")).alias("win")).distinct()
 
 
-def keyed_windows(windows: DataFrame, docs: DataFrame, text_col: str) -> DataFrame:
-    """Windows by content with their items, their rarest word and its place in them."""
-    words = windows.select(F.explode("win").alias("word")).distinct()
-    known = [r[0] for r in words.limit(SMALL + 1).collect()]
-    seen = docs.select(words_of(F.col(text_col).cast("string")).alias("w"))
-    if len(known) <= SMALL:
-        seen = seen.select(F.filter("w", lambda x: x.isin(known)).alias("w"))
-        words = F.broadcast(words)
-    counts = seen.select(F.explode("w").alias("word")).groupBy("word").agg(F.count(F.lit(1)).alias("n"))
-    counts = words.join(counts, "word", "left").select("word", F.coalesce("n", F.lit(0)).alias("n"))
-    by_content = windows.groupBy("win").agg(F.collect_set("item").alias("items"))
-    ranked = by_content.select("win", F.posexplode("win").alias("off", "word")).join(counts, "word").groupBy("win").agg(F.min(F.struct("n", "word", "off")).alias("rare"))
-    return by_content.join(ranked, "win").select("win", "items", F.col("rare.word").alias("word"), F.col("rare.off").alias("off"))
+def shingles_of(words: str, widths: list[int]) -> Column:
+    """Structs (h, pos) of an array's shingles of each width; h is a hash of the shingle's words in order.
+
+    The array is bound to a lambda's variable, so that it is made once a row wherever the optimiser puts the expression.
+    """
+    kind = "array<struct<h: bigint, pos: int>>"
+    one = lambda k: f"if(size(s) < {k}, cast(array() as {kind}), transform(slice(s, 1, size(s) - {k - 1}), (x, i) -> struct(xxhash64({k}, {', '.join(f's[i + {j}]' for j in range(k))}) as h, i as pos)))"
+    return F.expr(f"get(transform(array({words}), s -> concat({', '.join(map(one, widths))})), 0)") if widths else F.expr(f"cast(array() as {kind})")
+
+
+def _few(side: DataFrame, size: Column) -> bool:
+    n, held = side.limit(SMALL + 1).agg(F.count(F.lit(1)), F.coalesce(F.sum(size), F.lit(0))).first()
+    return n <= SMALL and held <= SMALL_BYTES
+
+
+def keyed_windows(windows: DataFrame, docs: DataFrame, text_col: str) -> tuple[DataFrame, list[int]]:
+    """Windows by content with their items, their rarest shingle's hash and its place in them; settled. And the widths of shingles."""
+    by_content = settled(windows.groupBy("win").agg(F.collect_set("item").alias("items")))
+    widths = sorted(r[0] for r in by_content.select(F.least(F.size("win"), F.lit(SHINGLE)).alias("k")).distinct().collect())
+    cut = reduce(lambda e, k: e.when(F.least(F.size("win"), F.lit(SHINGLE)) == k, shingles_of("win", [k])), widths, F.when(F.lit(False), shingles_of("win", [])))
+    tokens = settled(by_content.select("win", F.explode(cut).alias("t")).select("win", "t.h", F.col("t.pos").alias("off")))
+    known = tokens.select("h").distinct()
+    seen = docs.select(words_of(F.col(text_col).cast("string")).alias("w")).select(shingles_of("w", widths).alias("t"))
+    if _few(known, F.lit(8)):
+        keys = [r[0] for r in known.collect()]
+        seen = seen.select(F.filter("t", lambda x: x["h"].isin(keys) if keys else F.lit(False)).alias("t"))
+    counts = seen.select(F.explode("t").alias("t")).groupBy("t.h").agg(F.count(F.lit(1)).alias("n"))
+    ranked = tokens.join(counts, "h", "left").groupBy("win").agg(F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "h", "off")).alias("rare"))
+    return settled(by_content.join(ranked, "win").select("win", "items", F.col("rare.h").alias("h"), F.col("rare.off").alias("off"))), widths
 
 
 def occurrences(docs: DataFrame, bench: DataFrame, id_col: str, text_col: str, item_col: str, bench_text_col: str, size: int) -> DataFrame:
     """Per distinct (id, text): how many rows have it (copies), n_words, and the sets of hit ranges and of items."""
-    windows = settled(keyed_windows(windows_of(bench, size, item_col, bench_text_col), docs, text_col))
-    keys = [r[0] for r in windows.select("word").distinct().limit(SMALL + 1).collect()]
+    windows, widths = keyed_windows(windows_of(bench, size, item_col, bench_text_col), docs, text_col)
     text = F.col(text_col).cast("string")
     base = docs.select(F.col(id_col).alias("__id"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("__h1"), F.hash(F.coalesce(text, F.lit(""))).alias("__h2"), words_of(text).alias("__w"))
-    picked = F.expr("transform(__w, (x, i) -> struct(x as word, i as pos))")
-    if len(keys) <= SMALL:
-        picked = F.filter(picked, lambda x: x["word"].isin(keys)) if keys else F.expr("cast(array() as array<struct<word: string, pos: int>>)")
-    near = F.expr(f"transform(__c, x -> struct(x.word as word, x.pos as pos, slice(__w, greatest(x.pos - {size - 1}, 0) + 1, {2 * size - 1}) as near))")
-    head = F.expr("array(struct(cast(null as string) as word, -1 as pos, cast(null as array<string>) as near))")
-    rows = base.withColumn("__c", picked).select("__id", "__h1", "__h2", F.size("__w").cast("long").alias("n_words"), F.explode(F.concat(head, near)).alias("x"))
-    side = F.broadcast(windows) if len(keys) <= SMALL and windows.limit(SMALL + 1).count() <= SMALL else windows
-    joined = rows.select("__id", "__h1", "__h2", "n_words", "x.*").join(side, "word", "left")
+    places = base.withColumn("__c", shingles_of("__w", widths))
     start = F.col("pos") - F.col("off")
     fits = (start >= 0) & (start + F.size("win") <= F.col("n_words"))
-    there = F.expr(f"slice(near, pos - off - greatest(pos - {size - 1}, 0) + 1, size(win)) = win")
-    hit = F.when(fits, F.when(there, F.struct(start.alias("s"), (start + F.size("win")).alias("e"))))
-    checked = joined.withColumn("__hit", hit).where("pos = -1 or __hit is not null")
-    return checked.groupBy("__id", "__h1", "__h2", "n_words").agg(
+    of_hit = F.struct(start.alias("s"), (start + F.size("win")).alias("e"))
+    key = ["__id", "__h1", "__h2", "n_words"]
+    if _few(windows, F.octet_length(F.array_join("win", " ")) + F.octet_length(F.array_join("items", " "))):
+        leads = [r[0] for r in windows.select("h").distinct().collect()]
+        picked = F.filter("__c", lambda x: x["h"].isin(leads) if leads else F.lit(False))
+        near = F.expr(f"get(transform(array(__w), s -> transform(__c, x -> struct(x.h as h, x.pos as pos, slice(s, greatest(x.pos - {size - 1}, 0) + 1, {2 * size - 1}) as near))), 0)")
+        head = F.expr("array(struct(cast(null as bigint) as h, -1 as pos, cast(null as array<string>) as near))")
+        rows = places.withColumn("__c", picked).select("__id", "__h1", "__h2", F.size("__w").cast("long").alias("n_words"), F.explode(F.concat(head, near)).alias("x"))
+        joined = rows.select(*key, "x.*").join(F.broadcast(windows), "h", "left")
+        there = F.expr(f"slice(near, pos - off - greatest(pos - {size - 1}, 0) + 1, size(win)) = win")
+        checked = joined.withColumn("__hit", F.when(fits, F.when(there, of_hit))).where("pos = -1 or __hit is not null")
+    else:
+        narrow = places.select("__id", "__h1", "__h2", F.size("__w").cast("long").alias("n_words"), F.explode("__c").alias("x")).select(*key, "x.*").distinct()
+        met = narrow.join(windows, "h").where(fits).groupBy(*key).agg(F.collect_set(F.struct("win", "items", of_hit.alias("hit"))).alias("__m"))
+        whole = base.select("__id", "__h1", "__h2", F.size("__w").cast("long").alias("n_words"), "__w")
+        met = met.toDF("__i", "__k1", "__k2", "__n", "__m")
+        same = F.col("__id").eqNullSafe(F.col("__i")) & (F.col("__h1") == F.col("__k1")) & (F.col("__h2") == F.col("__k2")) & (F.col("n_words") == F.col("__n"))
+        again = whole.join(met, same, "left")
+        good = F.expr("get(transform(array(__w), s -> filter(__m, x -> slice(s, x.hit.s + 1, size(x.win)) = x.win)), 0)")
+        none = F.expr("array(named_struct('items', cast(null as array<string>), '__hit', cast(null as struct<s: int, e: int>), 'pos', -1))")
+        checked = again.select(*key, F.explode(F.concat(none, F.coalesce(F.transform(good, lambda x: F.struct(x["items"].alias("items"), x["hit"].alias("__hit"), F.lit(0).alias("pos"))), F.slice(none, 1, 0)))).alias("x")).select(*key, "x.*")
+    return checked.groupBy(*key).agg(
         F.sum((F.col("pos") == -1).cast("int")).alias("copies"), F.array_sort(F.collect_set("__hit")).alias("ranges"), F.array_sort(F.array_distinct(F.flatten(F.collect_set(F.when(F.col("__hit").isNotNull(), F.col("items")))))).alias("items")
     )
 
