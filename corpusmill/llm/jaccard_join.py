@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from corpusmill.operators.components import merge_labels
+from corpusmill.operators.components import merge_labels, moved_roots, relabelled
 
 from .common import Members, release, settled
 from .hashing import set_digest, shingle_set
@@ -192,10 +192,11 @@ def _ordered(x: str, y: str) -> list[Column]:
 
 
 def _mixed(groups: DataFrame, labels: DataFrame) -> DataFrame:
-    """Rows of the groups that hold several components, with their roots and their group's leader; settled."""
+    """Rows of the groups that hold several components, with their roots, their group's leader and its root (main); settled."""
     rooted = groups.join(labels.select(F.col("node").alias("key"), "root"), "key")
-    heads = rooted.groupBy("token").agg(F.min(F.struct("pos", "n", "key", "s", "root")).alias("leader"), F.min("root").alias("r0"), F.max("root").alias("r1"))
-    return settled(rooted.join(heads.where("r0 <> r1").select("token", "leader"), "token"))
+    heads = rooted.groupBy("token").agg(F.min(F.struct("pos", "n", "key", "s", "root")).alias("l"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1")
+    heads = heads.select("token", F.col("l.key").alias("leader"), F.col("l.n").alias("leader_n"), F.col("l.pos").alias("leader_pos"), F.col("l.s").alias("leader_s"), F.col("l.root").alias("main"))
+    return settled(rooted.join(heads, "token"))
 
 
 def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -215,10 +216,12 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     # a row alone in a part of a split group has its partners in the other parts
     shared = settled(shared.where((F.col("members") > 1) | (F.col("salt") > 0)).drop("members"))
     release(spark)
-    shared = shared.join(alias, "key", "left").select("token", "salt", F.coalesce("rep", "key").alias("key"), "n", "pos").distinct()
+    # dealt by key once: equal rows and the places of a key are then in one partition
+    shared = shared.join(alias, "key", "left").select("token", "salt", F.coalesce("rep", "key").alias("key"), "n", "pos").repartition("key").distinct()
     # shingles that no other prefix has cannot match: only the others before a place count, and a place after too many of the rest is none
     shared = shared.withColumn("s", F.row_number().over(Window.partitionBy("key").orderBy("pos", "token")) - 1).where(100 * (F.col("s") + F.col("n") - F.col("pos")) >= percent * F.col("n"))
-    shared = settled(shared.withColumn("leader", F.min(F.struct("pos", "n", "key", "s")).over(group)))
+    shared = shared.withColumns({"leader": F.min(F.struct("pos", "n", "key", "s")).over(group), "members": F.count(F.lit(1)).over(group)})
+    shared = settled(shared.where((F.col("members") > 1) | (F.col("salt") > 0)).drop("members"))
     two = lambda l: [F.col(l + ".key").alias("l"), "n", F.col(l + ".n").alias("m"), F.col("pos").alias("i"), F.col(l + ".pos").alias("j"), "s", F.col(l + ".s").alias("t")]  # noqa: E731, E741
     star = shared.where("key <> leader.key").select("key", *two("leader"))
     heads = shared.where("key = leader.key").groupBy("token").agg(F.min("leader").alias("top"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
@@ -229,17 +232,17 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     release(spark, tested)
     labels = shared.select(F.col("key").alias("node"), F.col("key").alias("root")).distinct()
     labels = merge_labels(labels, verified(first, classes, texts, size, percent))
-    groups = shared.select("token", "key", "n", "pos", "s")
-    left = _mixed(groups, labels)
+    left = _mixed(shared.select("token", "key", "n", "pos", "s"), labels)
     release(spark, shared)
-    star = left.where("key <> leader.key and root <> leader.root").select("key", *two("leader"))
+    star = left.where("key <> leader and root <> main").select("key", "leader_n", "leader_pos", "leader_s", "n", "pos", "s", "leader")
+    star = star.select("key", F.col("leader").alias("l"), "n", F.col("leader_n").alias("m"), F.col("pos").alias("i"), F.col("leader_pos").alias("j"), "s", F.col("leader_s").alias("t"))
     second = possible(star.select(*_ordered("key", "l")), percent).join(first.select("x", "y"), ["x", "y"], "left_anti")
-    labels = merge_labels(labels, verified(second, classes, texts, size, percent))
-    before, left = left, _mixed(left.select(groups.columns), labels)
-    release(spark, before)
+    moved = settled(moved_roots(labels, verified(second, classes, texts, size, percent)))
+    labels = settled(relabelled(labels, moved))
+    left = relabelled(relabelled(left.select("token", "key", "n", "pos", "s", "root", "main", "leader"), moved), moved, "main")
     # members of a group that are apart from its leader's component are compared with all of the group
-    x = left.where("root <> leader.root and key <> leader.key").select("token", F.col("key").alias("c"), "n", F.col("pos").alias("i"), "s", F.col("root").alias("rx"), F.col("leader.root").alias("main"))
-    y = left.where("key <> leader.key").select("token", F.col("key").alias("d"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("s").alias("t"), F.col("root").alias("ry"))
+    x = left.where("root <> main and key <> leader").select("token", F.col("key").alias("c"), "n", F.col("pos").alias("i"), "s", F.col("root").alias("rx"), "main")
+    y = left.where("key <> leader").select("token", F.col("key").alias("d"), F.col("n").alias("m"), F.col("pos").alias("j"), F.col("s").alias("t"), F.col("root").alias("ry"))
     n, m = F.col("n"), F.col("m")
     # the first shared shingle of a linked pair lies this early in both sets
     early = (F.col("i") <= n - needed(n, m, percent)) & (F.col("j") <= m - needed(n, m, percent))
@@ -251,7 +254,7 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     named = classes.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("cls", "least", F.coalesce("root", "rep").alias("root"))
     smallest = named.groupBy("root").agg(F.min("least").alias("component_id"))
     final = settled(named.join(smallest, "root").select("cls", "component_id"))
-    release(spark, first, left)
+    release(spark, first, moved)
     out = rows.select("id", "n", "cls").join(final, "cls", "left")
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
 
