@@ -1,4 +1,4 @@
-"""Vectorised hashes of byte ranges, word shingles and set digests, the same in every worker."""
+"""Word shingles, set digests and bit maps, the same in every worker."""
 
 from __future__ import annotations
 
@@ -6,44 +6,9 @@ import hashlib
 
 import numpy as np
 
-#: An odd multiplier, its inverse modulo 2**64, and the finaliser's constants.
-BASE = 0x9E3779B97F4A7C15
-INVERSE = pow(BASE, -1, 1 << 64)
-_M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
-_SPACES = bytes(b + 32 if 65 <= b <= 90 else 32 if 9 <= b <= 13 else b for b in range(256))
-_powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
-
-
-def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """BASE and INVERSE to the powers 0..n-1, grown as longer texts come."""
-    if len(_powers[0]) < n:
-        size = max(n, 1 << 16) * 2
-        for k, b in enumerate((BASE, INVERSE)):
-            with np.errstate(over="ignore"):
-                _powers[k] = np.concatenate([np.ones(1, np.uint64), np.cumprod(np.full(size - 1, b, np.uint64))])
-    return _powers[0], _powers[1]
-
-
-def mix(h: np.ndarray) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        h = (h ^ (h >> np.uint64(30))) * _M1
-        h = (h ^ (h >> np.uint64(27))) * _M2
-    return h ^ (h >> np.uint64(31))
+from corpusmill.functions.hashing import BASE, INVERSE, Ranges, mix, powers  # noqa: F401  operators take them from here
 
-
-class Ranges:
-    """Hashes of any byte ranges of one text from running sums."""
-
-    def __init__(self, data: bytes) -> None:
-        n = len(data)
-        up, self.down = powers(n + 1)
-        self.sums = np.zeros(n + 1, np.uint64)
-        with np.errstate(over="ignore"):
-            np.cumsum((np.frombuffer(data, np.uint8).astype(np.uint64) + np.uint64(1)) * up[:n], out=self.sums[1:])
-
-    def of(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-        with np.errstate(over="ignore"):
-            return mix((self.sums[end] - self.sums[start]) * self.down[start] + (end - start).astype(np.uint64) * _M1)
+_SPACES = bytes(b + 32 if 65 <= b <= 90 else 32 if 9 <= b <= 13 else b for b in range(256))
 
 
 def shingle_set(raw: bytes | None, size: int = 5) -> np.ndarray:

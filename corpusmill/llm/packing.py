@@ -14,58 +14,28 @@ empty result; extra columns are ignored.
 
 from __future__ import annotations
 
-import base64
-import os
-import re
 import zlib
 from collections import defaultdict
 from dataclasses import dataclass
-from functools import cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from corpusmill.functions.bpe import VOCABULARY, ordinary_ids
+
 from .common import settled
 
-VOCABULARY = "byte_bpe_50k.tiktoken"
 #: The added token of the vocabulary, which its tokenizer finds in a text before all else, and that token's id.
 ADDED, ADDED_ID = "<|endoftext|>", 50256
-#: White space in one run from which on the quick encoder could run out of stack.
-LONG_RUN = 50_000
-_LONG_RUN = re.compile(rf"\s{{{LONG_RUN}}}")
 #: Rows that one numbering bucket holds about.
 BUCKET_ROWS = 50_000
 
 
-@cache
-def encoding(vocabulary: str):
-    """The vocabulary's encoding of ordinary text; it knows no added token."""
-    import public_tokenizers
-    import tiktoken
-
-    path = vocabulary if os.path.exists(vocabulary) else public_tokenizers.path(vocabulary)
-    with open(path, "rb") as lines:
-        ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
-    return tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-
-
-@cache
-def plain_tokenizer(vocabulary: str):
-    """The same vocabulary in the library that takes a run of white space of any length; a quarter of the speed otherwise."""
-    import public_tokenizers
-    from tokenizers import Tokenizer
-
-    path = vocabulary if os.path.exists(vocabulary) else public_tokenizers.path(vocabulary)
-    return Tokenizer.from_file(os.path.splitext(path)[0] + ".json")
-
-
 def token_bytes(text: str, vocabulary: str = VOCABULARY) -> bytes:
     """Ids of a text without the added token as little-endian unsigned 32-bit bytes."""
-    if len(text) >= LONG_RUN and _LONG_RUN.search(text):
-        return np.array(plain_tokenizer(vocabulary).encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
-    return np.array(encoding(vocabulary).encode_ordinary(text), dtype="<u4").tobytes()
+    return np.array(ordinary_ids(text, vocabulary), dtype="<u4").tobytes()
 
 
 def text_ids(text: str, vocabulary: str = VOCABULARY) -> bytes:
