@@ -97,7 +97,8 @@ def estimate_error(s, d):
 add("minhash_estimate_error", estimate_error)
 add("lsh_s_curve", lambda s, d: minhash.curve(s, [(16, 128), (32, 64), (64, 32), (128, 16), (256, 8)]), "select b::int as bands, r::int as rows, round(i / 20.0::double, 6) as s, round(1 - pow(1 - pow(i / 20.0::double, r), b), 6) as p, round(pow(1.0::double / b, 1.0::double / r), 6) as knee from (values (16,128),(32,64),(64,32),(128,16),(256,8)) t(b, r), range(1, 20) q(i)")
 add("dedup_fuzzy_best", lambda s, d: minhash.fuzzy_dedup(files(s, d)).select("file_id"))
-add("dedup_pipeline_file", lambda s, d: minhash.fuzzy_dedup(dedup.exact_dedup(files(s, d)), b=256, r=8, verify=70).select("file_id"))
+add("dedup_pipeline_file", lambda s, d: minhash.fuzzy_dedup(dedup.exact_dedup(files(s, d))).select("file_id"))
+add("dedup_pipeline_verified", lambda s, d: minhash.fuzzy_dedup(dedup.exact_dedup(files(s, d)), b=256, r=8, verify=70).select("file_id"))
 add("dedup_repo_fuzzy", lambda s, d: minhash.repo_fuzzy(files(s, d)))
 
 

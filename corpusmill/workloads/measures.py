@@ -37,7 +37,6 @@ both("schedule_tokens", f"select step, case when step <= 130000 then step * 2048
 both("schedule_wsd", f"select step, round(case when step < 2000 then 0.0003 * step / 2000 when step <= 150000 then 0.0003 else 0.0003 * power(cast(0.00001 / 0.0003 as double), (step - 150000) / cast(50000 as double)) end, 9) as lr from {STEPS} q".replace("0.0003", "cast(0.0003 as double)").replace("0.00001", "cast(0.00001 as double)"))
 both("schedule_cosine", f"select step, round(case when step < 5000 then cast(0.00002 as double) * step / 5000 else cast(0.00002 as double) * 0.5 * (1 + cos(pi() * (step - 5000) / cast(195000 as double))) end, 9) as lr from {STEPS} q")
 both("schedule_epochs", "select model, round(cast(total as double) / pool, 4) as epochs from (values ('1.5b', 2000.0, 500.0), ('8b', 2500.0, 714.2857)) t(model, total, pool)")
-RUN = f"with t as (select doc_id, len({TOKENS}) as n from documents where doc_id % 5 = 0)"
 add(
     "pack_sequences", lambda s, d: table(s, d, "documents").select((F.col("doc_id") % 16).alias("shard"), "doc_id", F.size(tokens(F.col("text"))).cast("long").alias("n")).selectExpr("shard", "doc_id", "n", "coalesce(sum(n) over (partition by shard order by doc_id rows between unbounded preceding and 1 preceding), 0) as at").selectExpr("shard", "doc_id", "cast(floor(at / 4096) as bigint) as bin", "at % 4096 as offset", "n"),
     f'''with t as (select doc_id % 16 as shard, doc_id, len({TOKENS})::bigint as n from documents), u as (select *, coalesce(sum(n) over (partition by shard order by doc_id rows between unbounded preceding and 1 preceding), 0)::bigint as "at" from t) select shard, doc_id, floor("at" / 4096)::bigint as bin, "at" % 4096 as "offset", n from u''',

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from corpusmill.operators import sampling, transform
+from corpusmill.operators import dedup, sampling, transform
 from corpusmill.schema import FILES, TOKENS, files, table, tokens
 from corpusmill.workloads.catalog import add, both
 from corpusmill.workloads.fixtures import CODE_VALUES, code_files
@@ -16,9 +16,18 @@ def esc(p: str) -> str:
 
 
 docs = lambda s, d: table(s, d, "documents")
-add("xform_strip_notice_head", lambda s, d: code_files(s).select("file_id", transform.strip_notice(F.col("text")).alias("text")))
+NOTICED = r"""l as (select *, string_split(text, chr(10)) as ls, ltrim(text, ' ' || chr(9) || chr(10)) as head from files), f as (select *, list_transform(ls, lambda x: case when regexp_matches(x, '^\s*(#|//)') then 1 when trim(x) = '' then 0 else 2 end) as fl from l),
+g as (select *, case when list_contains(fl, 2) then fl[1:list_position(fl, 2) - 1] else fl end as lead from f), h as (select *, case when list_contains(lead, 1) then len(lead) - list_position(list_reverse(lead), 1) + 1 else 0 end as n from g)
+select file_id, case when not regexp_matches(text, '[Cc]opyright') then text when starts_with(head, '/*') then case when instr(head, '*/') > 0 and regexp_matches(substr(head, 1, instr(head, '*/')), '[Cc]opyright') then regexp_replace(substr(head, instr(head, '*/') + 2), '^\s+', '') else text end
+ when len(list_filter(ls[1:n], lambda x: regexp_matches(x, '[Cc]opyright'))) > 0 then array_to_string(ls[n + 1:], chr(10)) else text end as text from h"""
+add("xform_strip_notice_head", lambda s, d: code_files(s).select("file_id", transform.strip_notice(F.col("text")).alias("text")), f"with {CODE_VALUES}, {NOTICED}")
+add("xform_notice_documents", lambda s, d: docs(s, d).select(F.col("doc_id").alias("file_id"), transform.strip_notice(F.col("text")).alias("text")), f"with files as (select doc_id as file_id, text from documents), {NOTICED}")
+add(
+    "xform_mask_names", lambda s, d: code_files(s).unionByName(s.createDataFrame([(100, "python", "# Author: Jane Q. Doe\nSigned-off-by: John Smith <js@x.org>\nx = 1\n")], "file_id long, lang string, text string")).select("file_id", transform.mask_names(F.col("text")).alias("text")),
+    f"with {CODE_VALUES}, u as (select file_id, text from files union all select 100, '# Author: Jane Q. Doe' || chr(10) || 'Signed-off-by: John Smith <js@x.org>' || chr(10) || 'x = 1' || chr(10)) select file_id, regexp_replace(regexp_replace(text, '{transform.NAME_MAIL}', '<name>\\1', 'g'), '{transform.NAMED}', '\\1<name>', 'g') as text from u",
+)
 add("xform_strip_license_lines", lambda s, d: docs(s, d).select("doc_id", F.md5(transform.strip_notice(F.col("text"), "anywhere")).alias("h")), f"select doc_id, md5(regexp_replace(text, '{transform.LICENSE_LINE}', '', 'g')) as h from documents")
-add("xform_notice_share", lambda s, d: code_files(s).agg(F.round(F.avg(F.substring("text", 1, 4000).rlike("[Cc]opyright").cast("double")), 6).alias("share")), f"with {CODE_VALUES} select round(avg(regexp_matches(text, '[Cc]opyright')::int::double), 6) as share from files")
+add("xform_notice_share", lambda s, d: code_files(s).agg(F.round(F.avg(F.col("text").rlike("[Cc]opyright").cast("double")), 6).alias("share")), f"with {CODE_VALUES} select round(avg(regexp_matches(text, '[Cc]opyright')::int::double), 6) as share from files")
 for _kind, _p in transform.KINDS.items():
     add(f"xform_mask_{_kind}", lambda s, d, k=_kind: docs(s, d).select("doc_id", F.md5(transform.mask(F.col("text"), (k,))).alias("h")), f"select doc_id, md5(regexp_replace(text, '{esc(_p)}', '<{_kind}>', 'g')) as h from documents")
 _all = "text"
@@ -27,15 +36,20 @@ for _kind, _p in transform.KINDS.items():
 add("xform_mask_all", lambda s, d: docs(s, d).select("doc_id", F.md5(transform.mask(F.col("text"))).alias("h")), f"select doc_id, md5({_all}) as h from documents")
 add("xform_ip_valid_octets", lambda s, d: docs(s, d).select("doc_id", F.md5(F.regexp_replace("text", transform.IP_VALID, "<ip>")).alias("h")), f"select doc_id, md5(regexp_replace(text, '{transform.IP_VALID}', '<ip>', 'g')) as h from documents")
 add(
-    "pii_counts_by_kind", lambda s, d: docs(s, d).agg(*(F.sum(F.regexp_count("text", F.lit(p))).cast("long").alias(k) for k, p in transform.KINDS.items())),
+    "pii_counts_by_kind", lambda s, d: docs(s, d).agg(*(F.sum(F.regexp_count("text", F.lit(p))).cast("long").alias(k) for k, p in transform.LINEAR.items())),
     "select " + ", ".join(f"sum(len(regexp_extract_all(text, '{esc(p)}')))::bigint as {k}" for k, p in transform.KINDS.items()) + " from documents",
 )
-add("pii_luhn", lambda s, d: docs(s, d).select("doc_id", F.explode(F.regexp_extract_all("text", F.lit("([0-9]{16})"), 1)).alias("n")).select("doc_id", "n", transform.luhn(F.col("n")).alias("ok")))
+add("pii_luhn", lambda s, d: docs(s, d).select("doc_id", F.explode(F.regexp_extract_all("text", F.lit("([0-9]{16})"), 1)).alias("n")).select("doc_id", "n", transform.luhn(F.col("n")).alias("ok")), "with t as (select doc_id, unnest(regexp_extract_all(text, '[0-9]{16}')) as n from documents), s as (select doc_id, n, list_sum(list_transform(range(1, 17), lambda i: case when i % 2 = 1 then case when 2 * n[i]::int > 9 then 2 * n[i]::int - 9 else 2 * n[i]::int end else n[i]::int end)) as t from t) select doc_id, n, t % 10 = 0 as ok from s")
 
 # ---- sampling and composition
 H = "(('0x' || substr(md5(file_id::varchar), 1, 8))::bigint % 2147483648)"
 SHARE = {"fr": 0.445, "de": 0.135}
 add("sample_budget_lang", lambda s, d: sampling.fraction_sample(files(s, d), SHARE).select("file_id", "lang"), f"with {FILES} select file_id, lang from files where {H} < case lang when 'fr' then {int(0.445 * sampling.P31)} when 'de' then {int(0.135 * sampling.P31)} else 2147483648 end")
+BUDGET = {"fr": 60_000, "de": 40_000}
+add(
+    "sample_byte_budget", lambda s, d: sampling.budget_sample(files(s, d), BUDGET).select("file_id", "lang"),
+    f"with {FILES}, t as (select lang, sum(n_bytes) as b from files group by lang) select file_id, lang from files join t using (lang) where {H} < case lang when 'fr' then floor(least(1.0::double, 60000::double / b) * 2147483648)::bigint when 'de' then floor(least(1.0::double, 40000::double / b) * 2147483648)::bigint else 2147483648 end",
+)
 add("sample_exact_k", lambda s, d: sampling.exact_k(files(s, d), 20).select("file_id", "lang"), f"with {FILES} select file_id, lang from files qualify row_number() over (partition by lang order by {H}, file_id) <= 20")
 add("sample_running_budget", lambda s, d: sampling.running_budget(files(s, d), 100_000).select("file_id", "lang"), f"with {FILES} select file_id, lang from files qualify sum(n_bytes) over (partition by lang order by {H}, file_id rows unbounded preceding) <= 100000")
 add("sample_bernoulli", lambda s, d: files(s, d).sampleBy("lang", {"en": 0.5, "fr": 0.5, "de": 0.5, "es": 0.5}, seed=5).select("file_id"))
@@ -62,9 +76,9 @@ def parts(s, d):
 
 add("corpus_composition", lambda s, d: sampling.composition(parts(s, d)), f"with p as ({CATEGORY}) select category, source, sum(n_tokens)::bigint as n_tokens, round(100.0::double * sum(n_tokens) / (select sum(n_tokens) from p), 4) as share from p group by rollup (category, source)")
 add("corpus_token_counts", lambda s, d: docs(s, d).select("doc_id", F.size(tokens(F.col("text"))).cast("long").alias("n_words"), F.octet_length("text").cast("long").alias("n_bytes")), f"select doc_id, len({TOKENS})::bigint as n_words, octet_length(encode(text))::bigint as n_bytes from documents")
-add(
-    "corpus_compare", lambda s, d: sampling.divergence(docs(s, d).where("doc_id % 2 = 0"), docs(s, d).where("doc_id % 2 = 1"), "lang"),
-    "with p as (select lang, count(*)::double / sum(count(*)) over () as p from documents where doc_id % 2 = 0 group by lang), q as (select lang, count(*)::double / sum(count(*)) over () as q from documents where doc_id % 2 = 1 group by lang), j as (select coalesce(p, 0) as p, coalesce(q, 0) as q from p full join q using (lang)) select round(sum(case when p > 0 then p * log2(2 * p / (p + q)) else 0 end + case when q > 0 then q * log2(2 * q / (p + q)) else 0 end) / 2, 6) as js, round(sum(abs(p - q)) / 2, 6) as tv from j",
+add(  # the corpus before and after exact deduplication: how far does removal move its languages
+    "corpus_compare", lambda s, d: sampling.divergence(docs(s, d), dedup.exact_dedup(files(s, d)), "lang"),
+    "with p as (select lang, count(*)::double / sum(count(*)) over () as p from documents group by lang), once as (select lang from documents qualify row_number() over (partition by sha256(text) order by (doc_id * 37 + 11) % 7 desc, 19691 - (4 - (doc_id * 53) % 5) desc, doc_id) = 1), q as (select lang, count(*)::double / sum(count(*)) over () as q from once group by lang), j as (select coalesce(p, 0) as p, coalesce(q, 0) as q from p full join q using (lang)) select round(sum(case when p > 0 then p * log2(2 * p / (p + q)) else 0 end + case when q > 0 then q * log2(2 * q / (p + q)) else 0 end) / 2, 6) as js, round(sum(abs(p - q)) / 2, 6) as tv from j",
 )
 
 # ---- annealing
@@ -80,7 +94,7 @@ T3 = "(values ('original', 'distribution', 83.94), ('algorithmic', 'subset', 12.
 both("anneal_mixture_table", f"select category, source, cast(tokens as double) as tokens, round(cast(100 * tokens / sum(tokens) over () as double), 2) as share from {T3} t(category, source, tokens)")
 both("ablate_anneal_without_hq", f"select category, cast(sum(tokens) as double) as tokens from {T3} t(category, source, tokens) where category = 'original' group by category")
 add("anneal_distribution_shift", lambda s, d: sampling.divergence(files(s, d), keyed(files(s, d)), "lang").select("tv"), f"with {FILES}, p as (select lang, count(*)::double / sum(count(*)) over () as p from files group by lang), q as (select lang, count(*)::double / sum(count(*)) over () as q from files where {KEY} group by lang) select round(sum(abs(coalesce(p, 0) - coalesce(q, 0))) / 2, 6) as tv from p full join q using (lang)")
-both("synth_textbook_prompts", "select doc_id, concat('Explain step by step, as a textbook would: ', substring(text, 1, 200)) as prompt from {documents} where doc_id % 10 = 0")
+both("synth_textbook_prompts", "select doc_id, concat('Explain step by step, as a textbook would: ', text) as prompt from {documents}")
 
 # ---- tuning data
 both("sft_pairs", "select conv_id, turn, text as instruction, response from (select conv_id, turn, role, text, lead(role) over (partition by conv_id order by turn) as r, lead(text) over (partition by conv_id order by turn) as response from {conversations}) q where role = 'user' and r = 'assistant'")
@@ -91,9 +105,9 @@ both("sft_regenerate_queue", "select conv_id, turn, length(text) as n from {conv
 add("sft_language_ratio", lambda s, d: sampling.exact_k(files(s, d), 10).groupBy("lang").agg(F.count(F.lit(1)).alias("n")), f"with {FILES} select lang, least(count(*), 10)::bigint as n from files group by lang")
 both("sft_seed_topk", "select lang, doc_id from (select d.lang, d.doc_id, row_number() over (partition by d.lang order by l.quality desc, d.n_chars desc, d.doc_id) as r from {documents} d join {labels} l on d.doc_id = l.doc_id) q where r <= 5")
 both("sft_task_grid", "select l.lang, k.level, t.task, concat('Write a ', t.task, ' task in ', l.lang, ', level ', k.level) as prompt from (values ('Python'), ('Java'), ('Go')) l(lang) cross join (values ('easy'), ('medium'), ('hard')) k(level) cross join (values ('algorithm'), ('debugging'), ('explanation')) t(task)")
-both("sft_prompts", "select doc_id, concat('Language: ', lang, '. Use this text: ', substring(text, 1, 100)) as prompt from {documents} where doc_id % 20 = 0")
+both("sft_prompts", "select doc_id, concat('Language: ', lang, '. Use this text: ', text) as prompt from {documents}")
 both("sft_stage_composition", "select stage, cast(sum(n) as bigint) as n from (values (1, 700000), (1, 2300000), (1, 1000000), (2, 36000), (2, 111000), (2, 110000), (2, 110000)) t(stage, n) group by stage")
-both("sft_stage1_only", "select conv_id, turn from {conversations} where conv_id % 2 = 0")
+both("sft_stage1_only", "select conv_id, turn from {conversations} where not (lower(text) like '%code%' or lower(text) like '%function%' or lower(text) like '%that%')")
 both("sft_mixed_shuffle", "select conv_id, turn, row_number() over (order by md5(concat(cast(conv_id as string), '-', cast(turn as string)))) as place from {conversations}".replace("as string", "as varchar(20)"))
 both("sft_dedup", "select min(conv_id * 1000 + turn) as id, count(*) as n from {conversations} group by md5(text)")
 API = "(values ('json', 'loads', false), ('json', 'dumps', false), ('os', 'getcwdu', true), ('re', 'compile', false), ('re', 'template', true)) a(module, symbol, deprecated)"

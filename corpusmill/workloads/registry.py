@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from corpusmill.workloads import catalog, curation, filtering, measures, mixtures, recalling, relational  # noqa: F401  each workload module enters its queries
+from corpusmill.workloads import catalog, curation, filtering, flows, measures, mixtures, published, recalling, relational, synthesis  # noqa: F401  each workload module enters its queries
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
