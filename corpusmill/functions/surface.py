@@ -5,17 +5,18 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from corpusmill.functions.bpe import token_ids
 from corpusmill.operators import minhash, transform
 
 
-@F.pandas_udf("array<long>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def bpe_encode(texts: pd.Series) -> pd.Series:
     return texts.map(lambda t: token_ids(t).astype("int64").tolist())
 
 
-@F.udtf(returnType="place int, shingle string")
+@F.udtf(returnType=T.StructType([T.StructField("place", T.IntegerType()), T.StructField("shingle", T.StringType())]))
 class ShingleRows:
     """Word shingles of a text with their places."""
 
@@ -25,7 +26,7 @@ class ShingleRows:
             yield i, " ".join(words[i : i + n])
 
 
-@F.udtf(returnType="module string, symbol string, signature string")
+@F.udtf(returnType=T.StructType([T.StructField(n, T.StringType()) for n in ("module", "symbol", "signature")]))
 class ApiCatalogue:
     """Public functions of a module of the standard library with their present signatures."""
 

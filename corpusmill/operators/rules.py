@@ -55,7 +55,23 @@ def _lines(pattern: str, whole: str = "nL") -> tuple[str, str]:
     return _share(f"size(filter(L, x -> x rlike '{pattern}'))", whole), _share(f"len(list_filter(L, lambda x: regexp_matches(x, '{pattern}')))", whole)
 
 
-#: Word runs: how many characters the most frequent n-gram covers, and how many words lie in repeated n-grams.
+def _most(n: int) -> tuple[str, str]:
+    """Share of the characters that the n-gram which covers most of them covers, if it occurs twice or more."""
+    s = f"if(nW < {n}, array(''), transform(sequence(1, greatest(nW - {n - 1}, 1)), i -> array_join(slice(W, i, {n}), ' ')))"
+    run = "if(x <=> a.p, a.r + 1, 1)"
+    best = f"aggregate(array_sort({s}), named_struct('p', cast(null as string), 'r', 0, 'b', 0), (a, x) -> named_struct('p', x, 'r', {run}, 'b', greatest(a.b, if({run} > 1, {run} * length(x), 0))), a -> a.b)"
+    d = f"case when nW < {n} then [''] else list_transform(range(1, greatest(nW - {n - 2}, 2)), lambda i: array_to_string(W[i:i+{n - 1}], ' ')) end"
+    most = f"list_max(list_transform(map_entries(list_histogram({d})), lambda e: case when e.value > 1 then e.value * length(e.key) else 0 end))"
+    return _share(best, "nC"), _share(most, "nC")
+
+
+def _entropy() -> tuple[str, str]:
+    """Bits a character, from runs of the sorted characters."""
+    runs = "aggregate(concat(array_sort(split(text, '')), array('')), named_struct('p', cast(null as string), 'r', 0L, 's', 0D), (a, x) -> named_struct('p', x, 'r', if(x <=> a.p, a.r + 1, 1L), 's', a.s + if(x <=> a.p or a.r = 0, 0D, a.r * log2(a.r))), a -> a.s)"
+    return f"if(nC = 0, 4D, log2(greatest(nC, 1)) - {runs} / greatest(nC, 1))", "case when nC = 0 then 4.0::double else list_entropy(string_split(text, '')) end"
+
+
+#: Share of n-grams that repeat an earlier one.
 def _top(n: int) -> tuple[str, str]:
     s = f"if(nW < {n}, array(''), transform(sequence(1, greatest(nW - {n - 1}, 1)), i -> array_join(slice(W, i, {n}), ' ')))"
     d = f"case when nW < {n} then [''] else list_transform(range(1, greatest(nW - {n - 2}, 2)), lambda i: array_to_string(W[i:i+{n - 1}], ' ')) end"
@@ -79,7 +95,9 @@ TEXT_RULES: list[Rule] = [
     Rule("dup_line", "text", "repetition", _share("nL - size(array_distinct(L))", "nL"), _share("nL - len(list_distinct(L))", "nL"), None, 0.3),
     Rule("dup_line_chars", "text", "repetition", _share("length(array_join(L, '')) - length(array_join(array_distinct(L), ''))", "nC"), _share("list_sum(list_transform(L, lambda x: length(x))) - list_sum(list_transform(list_distinct(L), lambda x: length(x)))", "nC"), None, 0.2),
     Rule("unique_word", "text", "repetition", f"if(nW < 20, 1D, {_share('size(array_distinct(W))', 'nW')})", f"case when nW < 20 then 1.0::double else {_share('len(list_distinct(W))', 'nW')} end", 0.3, None),
-    *(Rule(f"dup_ngram_{n}", "text", "repetition", *_top(n), None, 0.3) for n in (2, 3, 4, 5, 7, 10)),
+    *(Rule(f"dup_ngram_{n}", "text", "repetition", *_top(n), None, 0.3) for n in range(2, 11)),
+    *(Rule(f"top_ngram_{n}", "text", "repetition", *_most(n), None, most) for n, most in ((2, 0.2), (3, 0.18), (4, 0.16))),
+    Rule("entropy", "text", "repetition", *_entropy(), 2, 7),
     Rule("hex_share", "text", "data", _share("length(array_join(filter(W, x -> x rlike '^(0x)?[0-9a-fA-F]{8,}[,;]?$'), ''))", "nC"), _share("length(array_to_string(list_filter(W, lambda x: regexp_matches(x, '^(0x)?[0-9a-fA-F]{8,}[,;]?$')), ''))", "nC"), None, 0.4),
     Rule("blank_lines", "text", "format", *_lines("^[ ]*$"), None, 0.5),
     Rule("upper_share", "text", "shouting", _share(r"regexp_count(text, '\\p{Lu}')", r"regexp_count(text, '\\p{L}')"), _share(r"len(regexp_extract_all(text, '\p{Lu}'))", r"len(regexp_extract_all(text, '\p{L}'))"), None, 0.3),
@@ -113,8 +131,8 @@ def _whole(name: str, goal: str, pattern: str, whole: str, high: float | None, l
 
 _DEF = "^[ ]*(def |func |function |(public |private |static |final )*[A-Za-z_]+[ ][A-Za-z_]+[(].*[)][ ]*[{])"
 CODE_RULES: list[Rule] = [
-    _code("variables", "logic", "^[ ]*[A-Za-z_][A-Za-z_0-9 ]*=[^=]", None),
-    _code("functions", "logic", _DEF, None),
+    _code("variables", "logic", "^[ ]*[A-Za-z_][A-Za-z_0-9 ]*=[^=]", 0.9),
+    _code("functions", "logic", _DEF, 0.6),
     Rule("mean_fn_len", "code", "format", _share("nB", f"size(filter(L, x -> x rlike '{_DEF}'))"), _share("nB", f"len(list_filter(L, lambda x: regexp_matches(x, '{_DEF}')))"), None, 200),
     _code("comment_share", "logic", _COMMENT, 0.8),
     _code("import_share", "self-contained", "^[ ]*(import |from |#include|using |require)", 0.5),
@@ -126,7 +144,7 @@ CODE_RULES: list[Rule] = [
     Rule("max_indent", "code", "format", "cast(array_max(transform(L, x -> length(regexp_extract(x, '^[ ]*', 0)))) as double)", "list_max(list_transform(L, lambda x: length(regexp_extract(x, '^[ ]*', 0))))::double", None, 100),
     _code("todo_share", "logic", "(TODO|FIXME)", 0.3),
     Rule("code_lines", "code", "size", f"cast(size(filter(L, x -> x rlike '[^ ]' and not x rlike '{_COMMENT}')) as double)", f"len(list_filter(L, lambda x: regexp_matches(x, '[^ ]') and not regexp_matches(x, '{_COMMENT}')))::double", 3, None),
-    _code("control_kw", "logic", "(^|[^A-Za-z_])(if|for|while|switch|return)([^A-Za-z_]|$)", None),
+    _code("control_kw", "logic", "(^|[^A-Za-z_])(if|for|while|switch|return)([^A-Za-z_]|$)", None, low=0.005),
     Rule("mixed_indent", "code", "format", _share("least(size(filter(L, x -> x like '\\t%')), size(filter(L, x -> x like ' %')))", "nL"), _share("least(len(list_filter(L, lambda x: x like chr(9) || '%')), len(list_filter(L, lambda x: x like ' %')))", "nL"), None, 0.4),
     _code("stub_share", "logic", "^[ ]*(pass|[.][.][.]|[{][ ]*[}])[ ]*$", 0.8),
     _code("path_depends", "self-contained", "^[ ]*(from [.]|#include \"|require[(].[.])", 0.6),
@@ -145,6 +163,44 @@ LANGUAGE_RULES: list[Rule] = [
 for _k, _r in enumerate(LANGUAGE_RULES):
     if _r.name == "attribute_share":
         LANGUAGE_RULES[_k] = Rule(_r.name, _r.family, _r.goal, _r.spark.replace("[\\[]", "[\\\\[]"), _r.duck, None, _r.high, lang=_r.lang)
+#: Further rules a language, as name, goal, pattern of a line and the highest share of lines with it.
+MORE: dict[str, list[tuple[str, str, str, float]]] = {
+    "python": [
+        ("wildcard_import", "self-contained", "^from .* import [*]", 0.2), ("global_share", "logic", "^[ ]*global ", 0.2), ("eval_share", "logic", "(eval|exec)[(]", 0.2), ("nested_lambda", "format", "lambda .*lambda", 0.2), ("print_only", "logic", "^[ ]*print[(]", 0.6),
+        ("decorator_share", "logic", "^[ ]*@", 0.4), ("docstring_marks", "format", '"""', 0.5), ("dunder_assign", "data", "^__[a-z]+__", 0.4), ("relative_import", "self-contained", "^from [.]", 0.4),
+    ],
+    "c": [
+        ("include_share", "self-contained", "^#include", 0.4), ("typedef_only", "logic", "^typedef", 0.5), ("extern_share", "self-contained", "^extern ", 0.5), ("assembly_share", "logic", "(__asm__|asm[ ]*[(])", 0.3), ("hex_table", "data", "0x[0-9A-Fa-f]+,.*0x[0-9A-Fa-f]+,", 0.5),
+        ("pragma_share", "logic", "^#pragma", 0.3), ("declaration_only", "logic", "^[A-Za-z_][A-Za-z_0-9 *]*[(][^{]*[)];$", 0.7), ("brace_lines", "format", "^[ ]*[{}][ ]*$", 0.6), ("printf_share", "logic", "printf[(]", 0.6),
+    ],
+    "cpp": [
+        ("include_share", "self-contained", "^#include", 0.4), ("using_namespace", "self-contained", "^using namespace", 0.3), ("forward_only", "logic", "^(class|struct) [A-Za-z_]+;$", 0.5), ("operator_share", "logic", "operator[ ]*[^a-z ]", 0.5), ("cast_share", "logic", "(static|dynamic|reinterpret|const)_cast", 0.5),
+        ("stream_output", "logic", "(cout|cerr)[ ]*<<", 0.6), ("macro_share", "data", "^#define", 0.5), ("friend_share", "logic", "^[ ]*friend ", 0.3), ("empty_body", "logic", "[)][ ]*[{][ ]*[}]", 0.5),
+    ],
+    "csharp": [
+        ("region_share", "format", "^[ ]*#(region|endregion)", 0.3), ("auto_property", "logic", "[{] get; (private |protected )?set; [}]", 0.7), ("console_share", "logic", "Console[.]Write", 0.4), ("partial_share", "self-contained", "partial class", 0.3), ("not_implemented", "logic", "NotImplementedException", 0.3),
+        ("designer_code", "authored", "(InitializeComponent|[.]Designer)", 0.1), ("doc_comment", "logic", "^[ ]*///", 0.7), ("constant_table", "data", "^[ ]*(public |private )?const ", 0.6), ("namespace_only", "logic", "^namespace", 0.5),
+    ],
+    "java": [
+        ("print_share", "logic", "System[.]out[.]print", 0.4), ("override_share", "logic", "@Override", 0.4), ("empty_catch", "logic", "catch[ ]*[(][^)]*[)][ ]*[{][ ]*[}]", 0.2), ("interface_only", "logic", "^[ ]*(public )?interface", 0.4), ("serial_share", "authored", "serialVersionUID", 0.2),
+        ("package_only", "logic", "^package ", 0.5), ("constant_table", "data", "static final", 0.6), ("template_mark", "authored", "Auto-generated", 0.1), ("field_copy", "logic", "this[.][a-zA-Z]+ = [a-zA-Z]+;", 0.6),
+    ],
+    "javascript": [
+        ("packed_line", "format", "[;,][^ ].*[;,][^ ].*[;,][^ ]", 0.7), ("var_share", "logic", "^[ ]*var ", 0.7), ("eval_share", "logic", "(eval|Function)[(]", 0.2), ("selector_share", "logic", "[$][(]", 0.7), ("strict_only", "logic", "use strict", 0.3),
+        ("export_share", "self-contained", "^export ", 0.7), ("prototype_share", "logic", "[.]prototype[.]", 0.6), ("alert_share", "logic", "alert[(]", 0.3), ("number_table", "data", "^[ ]*[0-9.,]+[ ]*$", 0.5),
+    ],
+    "go": [
+        ("import_share", "self-contained", '^[ ]*(import|")', 0.5), ("panic_share", "logic", "panic[(]", 0.3), ("print_share", "logic", "fmt[.]Print", 0.5), ("blank_assign", "logic", "^[ ]*_ = ", 0.3), ("constant_table", "data", "(^const|iota)", 0.5),
+        ("tag_share", "data", "json:", 0.6), ("routine_share", "logic", "go func", 0.4), ("defer_share", "logic", "defer ", 0.4), ("nolint_share", "format", "nolint", 0.3),
+    ],
+    "html": [
+        ("inline_style", "format", "style=", 0.6), ("table_share", "format", "<t[dr]", 0.7), ("hidden_share", "format", "display: *none", 0.4), ("comment_share", "logic", "<!--", 0.4), ("iframe_share", "self-contained", "<iframe", 0.3),
+        ("meta_share", "format", "<meta", 0.5), ("image_only", "logic", "<img", 0.6), ("link_list", "logic", "<a ", 0.7),
+    ],
+}
+LANGUAGE_RULES += [_code(name, goal, pattern, high, lang) for lang, rows in MORE.items() for name, goal, pattern, high in rows]
+_SEEN = "<(script|style)[^>]*>[^<]*</(script|style)>"
+LANGUAGE_RULES.append(Rule("visible_text", "language", "logic", _share(f"length(trim(regexp_replace(regexp_replace(text, '{_SEEN}', ''), '<[^>]*>', '')))", "nC"), _share(f"length(trim(regexp_replace(regexp_replace(text, '{_SEEN}', '', 'g'), '<[^>]*>', '', 'g')))", "nC"), 0.2, None, lang="html"))
 BASELINE = ("mean_line", "max_line", "alpha_share", "generated_mark", "chars_min")
 REGISTRY = TEXT_RULES + CODE_RULES + LANGUAGE_RULES
 
@@ -189,10 +245,11 @@ def report(scored: DataFrame) -> DataFrame:
 
 
 def sweep(df: DataFrame, rule: Rule, grid: list[float]) -> DataFrame:
-    """For each threshold in one pass: removed rows and share, and the Jensen-Shannon divergence of kept from all languages."""
+    """For each threshold of a rule's upper side (of its lower one, if it has no upper) in one pass: removed rows and share, and the Jensen-Shannon divergence of kept from all languages."""
+    out = F.col("m") > F.col("threshold") if rule.high is not None else F.col("m") < F.col("threshold")
     m = metrics(df, [rule]).select("lang", F.col(f"m_{rule.name}").alias("m"))
     rows = m.select("lang", "m", F.explode(F.array(*map(F.lit, grid))).alias("threshold"))
-    cells = rows.groupBy("threshold", "lang").agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("m") > F.col("threshold")).cast("long")).alias("out"))
+    cells = rows.groupBy("threshold", "lang").agg(F.count(F.lit(1)).alias("n"), F.sum(out.cast("long")).alias("out"))
     tot = cells.groupBy("threshold").agg(F.sum("n").alias("n_all"), F.sum("out").alias("out_all"))
     p, q = F.col("n") / F.col("n_all"), (F.col("n") - F.col("out")) / F.greatest(F.col("n_all") - F.col("out_all"), F.lit(1))
     mid = (p + q) / 2

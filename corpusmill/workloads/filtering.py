@@ -44,9 +44,18 @@ add("rules_keep_weighted", lambda s, d: rules.apply_rules(files(s, d), BEST, "we
 add("rules_report", lambda s, d: rules.report(rules.apply_rules(files(s, d), BEST)), f"{SCORED} select rule, lang, count(*)::bigint as n_hit, sum((k = 1)::int)::bigint as n_alone from (select lang, len(violations) as k, unnest(violations) as rule from s) group by rule, lang")
 SYM = BY["symbol_word"]
 GRID = [0.05, 0.1, 0.2, 0.5, 1.0]
-SWEEP = f"""with {FILES}, m as (select lang, {SYM.duck} as m from ({rules.STAGED.format(source='files')})), c as (select t as threshold, lang, count(*) as n, sum((m > t)::int) as o from m, (values {', '.join(f'({g}::double)' for g in GRID)}) g(t) group by 1, 2),
+
+
+def sweep_sql(rule: rules.Rule, grid: list[float]) -> str:
+    side = ">" if rule.high is not None else "<"
+    return f"""with {FILES}, m as (select lang, {rule.duck} as m from ({rules.STAGED.format(source='files')})), c as (select t as threshold, lang, count(*) as n, sum((m {side} t)::int) as o from m, (values {', '.join(f'({g}::double)' for g in grid)}) g(t) group by 1, 2),
 z as (select *, sum(n) over (partition by threshold) as nn, sum(o) over (partition by threshold) as oo from c), pq as (select threshold, nn, oo, n::double / nn as p, (n - o)::double / greatest(nn - oo, 1) as q from z)
 select threshold, max(oo)::bigint as removed, round(max(oo::double / nn), 6) as share, round(sum(case when p > 0 then p * log2(p / ((p + q) / 2)) else 0 end + case when q > 0 then q * log2(q / ((p + q) / 2)) else 0 end) / 2, 6) as divergence from pq group by threshold"""
+
+
+SWEEP = sweep_sql(SYM, GRID)
+LOW_GRID = [0.2, 0.3, 0.4, 0.5]
+add("rules_threshold_sweep_low", lambda s, d: rules.sweep(files(s, d), BY["unique_word"], LOW_GRID), sweep_sql(BY["unique_word"], LOW_GRID))
 add("rules_threshold_sweep", lambda s, d: rules.sweep(files(s, d), SYM, GRID), SWEEP)
 add("rules_distribution_shift", lambda s, d: rules.sweep(files(s, d), SYM, [0.1]).select("divergence"), SWEEP.replace(", ".join(f"({g}::double)" for g in GRID), "(0.1::double)").replace("select threshold, max(oo)::bigint as removed, round(max(oo::double / nn), 6) as share,", "select"))
 add("rules_vs_labels", lambda s, d: rules.accuracy(rules.apply_rules(files(s, d), BEST), table(s, d, "labels")), f"{SCORED}, j as (select (len(violations) > 0)::int as o, 1 - quality as low from s join labels on file_id = doc_id) select count(*)::bigint as n, sum(o * low)::bigint as hits, round(sum(o * low)::double / sum(o), 6) as precision, round(sum(o * low)::double / sum(low), 6) as recall from j")

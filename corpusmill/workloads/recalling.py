@@ -2,10 +2,9 @@
 
 from __future__ import annotations
 
-import pandas as pd
 from pyspark.sql import functions as F
 
-from corpusmill.functions.bpe import token_ids
+from corpusmill.functions.surface import bpe_encode
 from corpusmill.operators import classifier, recall
 from corpusmill.operators.sampling import unit_hash
 from corpusmill.schema import TOKENS, table, tokens
@@ -65,13 +64,8 @@ TOPICS = "(values ('/en', 'code'), ('/de', 'mathematics'), ('/fr', 'code'), ('/e
 both("recall_domain_topics", "select p.page_id, t.topic from {pages} p join " + TOPICS + " on regexp_extract(p.url, '^[a-z]+://[^/?#]+(/[^/?#]*)', 1) = t.prefix")
 
 # ---- segmentation by a public vocabulary
-@F.pandas_udf("array<long>")
-def bpe_ids(texts: pd.Series) -> pd.Series:
-    return texts.map(lambda t: token_ids(t).astype("int64").tolist())
-
-
-add("bpe_encode", lambda s, d: table(s, d, "documents").select("doc_id", bpe_ids("text").alias("ids")).select("doc_id", F.size("ids").cast("long").alias("n_tokens"), F.md5(F.array_join(F.col("ids").cast("array<string>"), " ")).alias("ids_md5")))
-add("corpus_bpe_tokens", lambda s, d: table(s, d, "documents").select("source", F.size(bpe_ids("text")).cast("long").alias("n")).groupBy("source").agg(F.sum("n").alias("n_tokens"), F.count(F.lit(1)).alias("n_files")))
+add("bpe_encode", lambda s, d: table(s, d, "documents").select("doc_id", bpe_encode("text").alias("ids")).select("doc_id", F.size("ids").cast("long").alias("n_tokens"), F.md5(F.array_join(F.col("ids").cast("array<string>"), " ")).alias("ids_md5")))
+add("corpus_bpe_tokens", lambda s, d: table(s, d, "documents").select("source", F.size(bpe_encode("text")).cast("long").alias("n")).groupBy("source").agg(F.sum("n").alias("n_tokens"), F.count(F.lit(1)).alias("n_files")))
 add("page_canonical_url", lambda s, d: pages(s, d).select("id", recall.canonical_url(F.col("url")).alias("canonical"), recall.base_host(F.col("url")).alias("host")), rf"select page_id as id, regexp_replace(regexp_replace(regexp_replace(regexp_replace(url, '^[a-z]+://', ''), '[?#].*$', ''), '\.html$', ''), '/+$', '') as canonical, {HOST} as host from pages")
 add("page_text_extract", lambda s, d: pages(s, d).select("id", F.md5(recall.page_text(F.col("text"))).alias("h")), r"select page_id as id, md5(trim(regexp_replace(regexp_replace(regexp_replace(html, '(?s)<(script|style|nav)[^>]*>.*?</(script|style|nav)>', ' ', 'g'), '<[^>]*>', ' ', 'g'), '\s+', ' ', 'g'))) as h from pages")
 add("bpe_word_counts", lambda s, d: table(s, d, "documents").select(F.explode(tokens(F.col("text"))).alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("n")), f"select w, count(*)::bigint as n from (select unnest({TOKENS}) as w from documents) group by w")
