@@ -31,6 +31,7 @@ PERMISSIVE = {"mit", "apache", "bsd", "isc", "zlib", "cc0", "bsl", "unlicense",
 
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
 _TAG = re.compile(rb"spdx-license-identifier[ \t]*:[ \t]*([^\r\n]*)", re.I)
+_FIELD = re.compile(rb"\blicen[cs]es?[\"']?[ \t]*[:=][ \t]*[\[{]?[ \t]*(?:text[ \t]*[=:][ \t]*)?[\"']?([A-Za-z0-9(][A-Za-z0-9.+() -]*)", re.I)
 _LEXEME = re.compile(r"\(|\)|[A-Za-z0-9][A-Za-z0-9.+:-]*")
 _BINDS = {"or": 1, "and": 2, "with": 3}
 
@@ -55,7 +56,7 @@ def family(identifier: str) -> str:
 
 
 def to_postfix(expression: str) -> list[str]:
-    """Shunting-yard; operators are and, or, with in any case. Reading stops at the first lexeme that cannot continue."""
+    """Shunting-yard; operators are and, or, with in any case. Reading stops at the first lexeme that cannot continue; open parentheses close at the end."""
     out: list[str] = []
     held: list[str] = []
     operand_next = True
@@ -83,9 +84,11 @@ def to_postfix(expression: str) -> list[str]:
             operand_next = True
         else:
             break
-    if operand_next or depth:
-        raise ValueError("unfinished expression")
-    return out + held[::-1]
+    while operand_next and held and held.pop() not in _BINDS:  # an operator or parenthesis that nothing follows says nothing
+        pass
+    if not out:
+        raise ValueError("no identifier")
+    return out + [x for x in held[::-1] if x != "("]
 
 
 def evaluate(expression: str) -> tuple[set[str], bool]:
@@ -131,6 +134,15 @@ def scan(raw: bytes | None) -> tuple:
                 continue
             labels |= named
             permissive = ok if permissive is None else permissive and ok
+    if raw and (b"icense" in raw or b"ICENSE" in raw or b"icence" in raw):
+        for m in _FIELD.finditer(raw):  # a declared field counts only if all that it names are known families
+            try:
+                named, ok = evaluate(m[1].decode("ascii"))
+            except ValueError:
+                continue
+            if named <= set(FAMILIES):
+                labels |= named
+                permissive = ok if permissive is None else permissive and ok
     labels |= base_labels
     return (len(words), base, min(starts, default=None), max(starts, default=None), ",".join(sorted(base_labels)), ",".join(sorted(labels)), marks / (marks + 1.0), permissive)
 

@@ -8,7 +8,7 @@ import zlib
 import numpy as np
 import pytest
 
-from corpusmill.llm import hashing, jaccard_join, packing, secret_scan
+from corpusmill.llm import decontamination, hashing, html_extract, jaccard_join, license_scan, packing, pii, secret_scan
 from corpusmill.operators import minhash
 
 SCHEMA = "doc_id long, text string"
@@ -109,3 +109,116 @@ def test_buckets_led_by_a_false_candidate(spark):
     assert [(r.a, r.b) for r in minhash.bucket_links(bands, files, 70).collect()] == [(3, 2)]
     kept = minhash.fuzzy_dedup(files, 1, 1, 1, verify=70).select("file_id")
     assert sorted(r.file_id for r in kept.collect()) == [1, 2, 4]
+
+
+#: Sentences written by hand, not by the generator that the field is fitted on, with the kinds that they hold.
+SENTENCES = [
+    ("SSN 123 45 6789 is on file", ["ssn"]),
+    ("you can ring me on 0171 2345678 tonight", ["phone"]),
+    ("write to john dot smith at example dot com please", ["email"]),
+    ("or john.smith AT gmail.com", ["email"]),
+    ("she was born on 12 March 1985 in Lyon", ["birth"]),
+    ("passport number X1234567 was lost", ["passport"]),
+    ("order 123-456-7890 has shipped", []),
+    ("my name is Clara Schmidt and I live here", ["name"]),
+    ("Dear Mr. Brown, thank you", ["name"]),
+    ("Regards, Tom Baker", ["name"]),
+    ("the meeting on 12 March 2021 was long", []),
+    ("invoice 2021-03-12 is due", []),
+    ("version 10.2.3456.78 of the build", []),
+    ("IBAN GB29 NWBK 6016 1331 9268 19 is mine", ["iban"]),
+    ("pay to DE89370400440532013000 now", ["iban"]),
+    ("date of birth: 03/07/1979.", ["birth"]),
+    ("phone: (212) 555-0187.", ["phone"]),
+    ("serial 4455667788 of the unit", []),
+    ("isbn 978-3-16-148410-0 of the book", []),
+    ("we met at the park at noon", []),
+    ("look at example.com for more", []),
+    ("her social security number is 219-09-9999", ["ssn"]),
+    ("part 219-09-9999 in the list", []),
+    ("call 555-867-5309 now", ["phone"]),
+    ("the University of London", []),
+    ("signed, Maria Lopez", ["name"]),
+    ("contact anna [at] mail [dot] org", ["email"]),
+    ("room 0123 4567 is closed", []),
+    ("fax 030 1234 5678", ["phone"]),
+    ("in 1999 2000 and 2001 we sold 12,345,678 units", []),
+    ("passport: K9876543.", ["passport"]),
+    ("DOB 1990-01-31", ["birth"]),
+    ("price 1.234.567,00 in total", []),
+    ("Dr. Weber will see you", ["name"]),
+]
+
+
+def test_personal_data_of_hand_written_sentences():
+    weights = pii.fitted()
+    hit = extra = total = 0
+    for text, want in SENTENCES:
+        kinds = [k for _, _, k in pii.crf_spans(text, weights, [])]
+        found = sum(k in kinds for k in want)
+        hit, extra, total = hit + found, extra + len(kinds) - found, total + len(want)
+    assert hit >= 0.85 * total and extra <= 0.15 * (hit + extra), (hit, extra, total)
+
+
+def test_licence_expressions():
+    read = lambda text: license_scan.scan(text.encode())[5]
+    assert read("SPDX-License-Identifier: (MIT OR Apache-2.0") == "apache,mit" and read("SPDX-License-Identifier: MIT OR") == "mit"
+    assert read('license = "MIT OR Apache-2.0"') == "apache,mit" and read('{"license": "BSD-3-Clause"}') == "bsd" and read("License: see the file") == ""
+    assert license_scan.evaluate("MIT AND (GPL-2.0 OR BSD-3-Clause)") == ({"mit", "gpl", "bsd"}, True) and license_scan.evaluate("GPL-2.0 WITH x OR Apache-2.0")[1]
+    assert license_scan.evaluate("MIT AND GPL-3.0") == ({"mit", "gpl"}, False)
+
+
+def plain_article(page):
+    """Blocks of the article element by splitting its markup."""
+    import html
+    import re
+
+    page = re.sub(r"(?s)<!--.*?-->|<(script|style)[^>]*>.*?</\1>", "", page)
+    inner = re.search(r"(?s)<article>(.*?)</article>", page)[1]
+    blocks = [html.unescape(re.sub(r"<[a-z/][^>]*>", "", x.replace("<br>", " "))) for x in re.split(r"</?(?:p|h1|li|ul|div)[^>]*>", inner.replace("<br>", " "))]
+    return "\n\n".join(x for x in (" ".join(b.split()) for b in blocks) if x)
+
+
+def test_pages_against_a_plain_reading(spark):
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    got = {r.page_id: r.text for r in html_extract.extract_pages(pages).collect()}
+    want = {r.page_id: plain_article(r.html) for r in pages.collect()}
+    assert got == want
+    firsts = [x for r in pages.collect() for x in html_extract.classify(html_extract.blocks_of(r.html))]
+    assert {"good", "bad", "near", "short"} <= set(firsts) and firsts.count("good") > 0.3 * len(firsts)  # both passes decide
+
+
+def test_page_rules_beside_the_region():
+    prose = "the cat of the house is on a mat and it was by the door of the room. "
+    page = f"<article><p>{prose * 4}</p><div class='related-work'><p>{prose * 3}</p></div><div class=comments><p>{prose * 3}</p></div><ul><li><a href=x>{prose}</a></ul></article><p>short<p>{prose * 4}"
+    assert html_extract.main_text(page) == "\n\n".join((prose * k).strip() for k in (4, 3, 4))
+    assert html_extract.main_text(f"<p>Menu</p><p>{prose * 4}</p><h2>Title</h2><p>{prose * 4}</p><p><a href=a>one</a> <a href=b>two</a></p>") == f"{(prose * 4).strip()}\n\nTitle\n\n{(prose * 4).strip()}"
+
+
+@pytest.mark.parametrize("part", ["<a '", "<b>", "<a '>", '<a "x>', "<", "<p ", "<script>", "<!--", "<div class='ad'>", "&", "<a href=x>t</a>", "<li><ul>", "</i>", "<p><b>x"])
+def test_malformed_pages_take_linear_time(part):
+    import time
+
+    took = []
+    for n in (20_000, 80_000):
+        began = time.process_time()
+        html_extract.main_text("<p>" + part * n)
+        took.append(time.process_time() - began)
+    assert took[1] < 12 * took[0] + 0.5, took
+
+
+def test_pages_with_nulls_ties_and_extra_columns(spark):
+    rows = [(1, "u", "<article><p>x</p></article>", "a"), (1, "u", "<article><p>x</p></article>", "a"), (2, None, None, None), (3, "v", "", "b")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string, text string")
+    assert sorted((r.page_id, r.text, r.n_chars) for r in html_extract.extract_pages(pages).collect()) == [(1, "x", 1), (1, "x", 1), (2, "", 0), (3, "", 0)]
+    assert html_extract.extract_pages(pages.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("small", [100_000, 0])
+def test_windows_by_broadcast_and_by_shuffle(spark, small, monkeypatch):
+    monkeypatch.setattr(decontamination, "SMALL", small)
+    docs = spark.createDataFrame([(1, "a b"), (2, "x a b c"), (3, None), (4, "q"), (2, "x a b c")], SCHEMA)
+    bench = spark.createDataFrame([("i", "b"), ("j", "a b"), ("k", None), ("l", "a b c")], "item_id string, text string")
+    got = sorted((r.doc_id, r.n_words, r.n_hit, r.n_items) for r in decontamination.contamination(docs, bench).collect())
+    assert got == [(1, 2, 2, 2), (2, 4, 3, 3), (2, 4, 3, 3), (3, 0, 0, 0), (4, 1, 0, 0)]
+    assert decontamination.contamination(docs, bench.limit(0)).where("contaminated").count() == 0
