@@ -15,8 +15,8 @@ from pyspark.sql import functions as F
 from .common import settled
 
 WS = r"[\x20\x09-\x0D]"
-#: Host lists up to this many rows are broadcast; longer ones are joined by shuffle.
-BROADCAST_HOSTS = 20_000
+#: Host lists of up to this many hosts and line keys in all are broadcast; longer ones are joined by shuffle.
+BROADCAST_HOSTS, BROADCAST_KEYS = 20_000, 1_000_000
 
 
 def words_of(text: Column) -> Column:
@@ -55,7 +55,8 @@ def repeated_words(words: str, size: int = 5) -> dict[str, Column]:
 def assess(docs: DataFrame, text_col: str = "text", host_col: str = "source", max_docs: int = 20, max_share: float = 0.1, least_words: int = 10, least_left: float = 0.2) -> DataFrame:
     """Every row of docs as struct __row, with its statistics, __clean (the text without lines over the limit) and verdicts."""
     over = settled(frequent_lines(docs, text_col, host_col, max_docs, max_share))
-    side = F.broadcast(over) if over.count() <= BROADCAST_HOSTS else over
+    hosts, keys = over.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.size("__over")), F.lit(0))).first()
+    side = F.broadcast(over) if hosts <= BROADCAST_HOSTS and keys <= BROADCAST_KEYS else over
     base = docs.select(F.struct("*").alias("__row"), F.col(text_col).cast("string").alias("__text"), F.coalesce(F.col(host_col).cast("string"), F.lit("")).alias("__host"))
     out = base.join(side, "__host", "left").withColumns({"__w": words_of(F.col("__text")), "__lines": worded_lines(F.col("__text"))})
     for name, column in repeated_words("__w").items():
