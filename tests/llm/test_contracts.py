@@ -134,7 +134,16 @@ def test_edit_distance_bound():
     for _ in range(3000):
         a, b = ("".join(rng.choice("abé") for _ in range(rng.randrange(12))) for _ in range(2))
         d = distance(a, b)
-        assert [fuzzy_lines.within(a, b, k) for k in range(12)] == [d <= k for k in range(12)]
+        assert list(fuzzy_lines.all_within([(a, b, k) for k in range(12)])) == [d <= k for k in range(12)]
+    for n in (60, 64, 65, 128, 300, 2100):
+        a = "".join(rng.choice("abcdef ") for _ in range(n))
+        b = list(a)
+        for _ in range(n // 8):
+            k = rng.randrange(len(b))
+            b[k : k + 1] = rng.choice(["", "x", b[k] + "y"])
+        b = "".join(b)
+        d = distance(a, b)
+        assert [fuzzy_lines.within(a, b, k) for k in (d - 1, d, d + 1)] == [False, True, True] and [fuzzy_lines._one_by_one(*sorted((a, b), key=len), k) for k in (d - 1, d)] == [False, True]
 
 
 def roots_of(n, links):
