@@ -194,8 +194,8 @@ def _ordered(x: str, y: str) -> list[Column]:
 def _mixed(groups: DataFrame, labels: DataFrame) -> DataFrame:
     """Rows of the groups that hold several components, with their roots, their group's leader and its root (main); settled."""
     rooted = groups.join(labels.select(F.col("node").alias("key"), "root"), "key")
-    heads = rooted.groupBy("token").agg(F.min(F.struct("pos", "n", "key", "s", "root")).alias("l"), F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1")
-    heads = heads.select("token", F.col("l.key").alias("leader"), F.col("l.n").alias("leader_n"), F.col("l.pos").alias("leader_pos"), F.col("l.s").alias("leader_s"), F.col("l.root").alias("main"))
+    heads = rooted.groupBy("token").agg(F.min(F.struct("pos", "n", "key", "s", "root")).alias("l"), F.min("root").alias("r0"), F.max("root").alias("r1"), F.count(F.lit(1)).alias("members")).where("r0 <> r1")
+    heads = heads.select("token", "members", F.col("l.key").alias("leader"), F.col("l.n").alias("leader_n"), F.col("l.pos").alias("leader_pos"), F.col("l.s").alias("leader_s"), F.col("l.root").alias("main"))
     return settled(rooted.join(heads, "token"))
 
 
@@ -239,6 +239,7 @@ def jaccard_components(docs: DataFrame, size: int = 5, percent: int = 80, id_col
     second = possible(star.select(*_ordered("key", "l")), percent).join(first.select("x", "y"), ["x", "y"], "left_anti")
     moved = settled(moved_roots(labels, verified(second, classes, texts, size, percent)))
     labels = settled(relabelled(labels, moved))
+    left = left.where("members > 2")  # of two members one leads, and has met the other
     left = relabelled(relabelled(left.select("token", "key", "n", "pos", "s", "root", "main", "leader"), moved), moved, "main")
     # members of a group that are apart from its leader's component are compared with all of the group
     x = left.where("root <> main and key <> leader").select("token", F.col("key").alias("c"), "n", F.col("pos").alias("i"), "s", F.col("root").alias("rx"), "main")
