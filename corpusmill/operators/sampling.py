@@ -27,14 +27,34 @@ def budget_sample(files: DataFrame, budget: dict[str, int], key: str = "lang", s
     return fraction_sample(files, {k: min(1.0, b / total[k]) for k, b in budget.items() if total.get(k)}, key)
 
 
+def _edge(files: DataFrame, key: str, weight: Column, limit: int, cells: int = 4096) -> DataFrame:
+    """files with below (whether the row's hash cell lies whole under the group's limit) and before (the weight of the cells under it).
+
+    Hashes are counted in `cells` cells a group, so the ordered sum runs over a table of bounded size; only rows of the cell on the limit need an order.
+    Rows of cells over the limit are left out.
+    """
+    cell = F.floor(unit_hash(F.col("file_id")) / (P31 // cells)).cast("int")
+    counted = files.withColumn("__cell", cell)
+    sums = counted.groupBy(key, "__cell").agg(F.sum(weight).alias("__w"))
+    run = F.sum("__w").over(Window.partitionBy(key).orderBy("__cell").rowsBetween(Window.unboundedPreceding, 0))
+    marked = sums.withColumn("__run", run).select(F.col(key).alias("__k"), F.col("__cell").alias("__c"), (F.col("__run") <= limit).alias("__below"), (F.col("__run") - F.col("__w")).alias("__before")).where(F.col("__before") <= limit)
+    return counted.join(marked, F.col(key).eqNullSafe(F.col("__k")) & (F.col("__cell") == F.col("__c"))).drop("__k", "__c")
+
+
+def _cut(marked: DataFrame, key: str, weight: Column, limit: int, columns: list[str]) -> DataFrame:
+    run = F.sum(weight).over(Window.partitionBy(key, "__cell").orderBy(unit_hash(F.col("file_id")), "file_id").rowsBetween(Window.unboundedPreceding, 0))
+    on = marked.where("not __below").withColumn("__sum", run + F.col("__before")).where(F.col("__sum") <= limit)
+    return marked.where("__below").select(columns).union(on.select(columns))
+
+
 def exact_k(files: DataFrame, k: int, key: str = "lang") -> DataFrame:
-    rank = F.row_number().over(Window.partitionBy(key).orderBy(unit_hash(F.col("file_id")), "file_id"))
-    return files.withColumn("r", rank).where(F.col("r") <= k).drop("r")
+    """The k rows of each group with the least hashes of their ids."""
+    return _cut(_edge(files, key, F.lit(1), k), key, F.lit(1), k, files.columns)
 
 
 def running_budget(files: DataFrame, budget: int, key: str = "lang", size: str = "n_bytes") -> DataFrame:
-    run = F.sum(size).over(Window.partitionBy(key).orderBy(unit_hash(F.col("file_id")), "file_id").rowsBetween(Window.unboundedPreceding, 0))
-    return files.withColumn("run", run).where(F.col("run") <= budget).drop("run")
+    """Rows of each group in the order of their ids' hashes for as long as their sizes stay within the budget."""
+    return _cut(_edge(files, key, F.col(size), budget), key, F.col(size), budget, files.columns)
 
 
 def composition(parts: DataFrame) -> DataFrame:
@@ -59,10 +79,24 @@ def centroid_dispersion(vectors: DataFrame) -> DataFrame:
     return dims.groupBy("label").agg(F.max("n").alias("n"), F.round(F.sum(F.col("s") - F.col("m") * F.col("m")), 4).alias("dispersion"))
 
 
-def covariance(vectors: DataFrame, dims: int) -> DataFrame:
-    """Upper triangle of the covariance of the first dims dimensions; one aggregate of sums."""
-    pairs = F.explode(F.expr(f"flatten(transform(sequence(0, {dims - 1}), i -> transform(sequence(i, {dims - 1}), j -> struct(i as i, j as j, cast(embedding[i] as double) as x, cast(embedding[j] as double) as y))))")).alias("p")
-    return vectors.select(pairs).select("p.*").groupBy("i", "j").agg(F.round(F.avg(F.col("x") * F.col("y")) - F.avg("x") * F.avg("y"), 4).alias("cov"))
+def covariance(vectors: DataFrame, dims: int, digits: int | None = 4) -> DataFrame:
+    """Upper triangle of the covariance of the first dims dimensions: each task sums outer products, and sums meet in one aggregate."""
+    import numpy as np
+    import pandas as pd
+
+    def sums(batches):
+        n, x, xy = 0, np.zeros(dims), np.zeros((dims, dims))
+        for batch in batches:
+            if len(batch):
+                rows = np.array(batch["embedding"].to_list(), np.float64)[:, :dims]
+                n, x, xy = n + len(rows), x + rows.sum(axis=0), xy + rows.T @ rows
+        if n:
+            i, j = np.triu_indices(dims)
+            yield pd.DataFrame({"i": i.astype("int32"), "j": j.astype("int32"), "n": n, "x": x[i], "y": x[j], "xy": xy[i, j]})
+
+    total = vectors.where("embedding is not null").select("embedding").mapInPandas(sums, "i int, j int, n long, x double, y double, xy double").groupBy("i", "j").agg(*(F.sum(c).alias(c) for c in ("n", "x", "y", "xy")))
+    cov = F.col("xy") / F.col("n") - F.col("x") / F.col("n") * F.col("y") / F.col("n")
+    return total.select("i", "j", (cov if digits is None else F.round(cov, digits)).alias("cov"))
 
 
 def pca_outliers(vectors: DataFrame, k: int = 2, z: float = 3.0) -> DataFrame:
@@ -74,7 +108,7 @@ def pca_outliers(vectors: DataFrame, k: int = 2, z: float = 3.0) -> DataFrame:
         return vectors.select("vec_id", F.lit(0.0).alias("distance")).where(F.lit(False))
     d = dims[0]
     cov = np.zeros((d, d))
-    for r in covariance(vectors, d).collect():
+    for r in covariance(vectors, d, None).collect():
         cov[r.i, r.j] = cov[r.j, r.i] = r["cov"]
     mean = [r["m"] for r in vectors.select(F.posexplode("embedding").alias("i", "x")).groupBy("i").agg(F.avg("x").alias("m")).orderBy("i").collect()]
     values, axes = np.linalg.eigh(cov)
