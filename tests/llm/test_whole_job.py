@@ -222,3 +222,19 @@ def test_windows_by_broadcast_and_by_shuffle(spark, small, monkeypatch):
     got = sorted((r.doc_id, r.n_words, r.n_hit, r.n_items) for r in decontamination.contamination(docs, bench).collect())
     assert got == [(1, 2, 2, 2), (2, 4, 3, 3), (2, 4, 3, 3), (3, 0, 0, 0), (4, 1, 0, 0)]
     assert decontamination.contamination(docs, bench.limit(0)).where("contaminated").count() == 0
+
+
+def test_the_field_reads_whole_texts():
+    """What is found anywhere equals the plain reading of the whole text: years that add up to digits, words behind many marks, names in prose."""
+    weights = pii.fitted()
+    made = [t for t, _ in pii.training_sentences(60, seed=99)] + pii.prose_sentences(60, seed=98)
+    texts = [*made, " ".join(made), "\n".join(made), "Mr. " + "-" * 300 + " Weber", "my name is" + " \t" * 90 + "Anna Smith", "Mr. John ... Smith v.an At d.e Dot. X-at J.-dot.Com", "éJohn Smith (+1) call (555) 123-4567x", "account " * 2 + "(" * 200 + " 12-34-56 7", "", "A", "@"]
+    for text in texts:
+        assert pii.crf_spans(text, weights, []) == pii.decode(text, weights)
+    far = "call " + "( " * 200 + "555 123 4567 ok"
+    assert pii.crf_spans(far, weights, []) == pii.decode(far, weights) != []
+
+
+def test_prose_without_personal_data_has_no_names():
+    weights = pii.fitted()
+    assert sum(bool(pii.crf_spans(t, weights, [])) for t in pii.prose_sentences(400, seed=1234)) <= 4
