@@ -14,6 +14,7 @@ import hashlib
 import math
 import random
 import re
+import string
 from bisect import bisect_left, bisect_right
 from collections import defaultdict
 from functools import cache
@@ -54,8 +55,11 @@ def luhn(digits: str) -> bool:
     return total % 10 == 0
 
 
+_OTHER = re.compile("[^0-9]+")
+
+
 def _digits(s: str) -> str:
-    return "".join(c for c in s if "0" <= c <= "9")
+    return _OTHER.sub("", s)
 
 
 def base_spans(text: str) -> list[tuple[int, int, str]]:
@@ -119,6 +123,8 @@ def features(tokens: list[tuple[int, int]], text: str, i: int, j: int) -> list[s
     return span_features(text, tokens[i][0], tokens[j - 1][1], j - i, before, beyond, _near(tokens, text, j, 1)[0])
 
 
+_RUNS, _LETTERS = re.compile("[0-9]+"), re.compile("[A-Za-z]+")
+_CASES = {ord(c): "A" if c.isupper() else "a" for c in string.ascii_letters}
 #: What introduces a name.
 _SAID = re.compile(r"\b(?:[Mm]y name is|[Nn]ame:|[Mm]r\.?|[Mm]rs\.?|[Mm]s\.?|[Dd]r\.?|[Dd]ear|[Ss]igned,?|[Rr]egards,|am called)\s+\Z")
 _SAYING = frozenset("is name mr mrs ms dr dear signed regards called".split())
@@ -138,10 +144,10 @@ def span_features(text: str, start: int, end: int, count: int, before: str, beyo
     """Features of a span of `count` tokens, with the words beside it."""
     span = text[start:end]
     n = len(_digits(span))
-    letters = sum(c.isalpha() for c in span)
-    runs = "-".join(str(min(len(r), 6)) for r in re.findall(r"[0-9]+", span)[:6])
+    letters = any(map(str.isalpha, span))
+    runs = "-".join(str(min(len(r), 6)) for r in _RUNS.findall(span)[:6])
     seps = "".join(sorted({c for c in span if not c.isalnum()}))[:5]
-    caps = "".join(re.sub(r"[A-Z]", "A", re.sub(r"[a-z]", "a", w))[:2] for w in re.findall(r"[A-Za-z]+", span)[:5])
+    caps = "".join(w[:2].translate(_CASES) for w in _LETTERS.findall(span)[:5])
     edge_l, edge_r = _edges(text, start, end)
     mail = f"at={len(_AT.findall(span))}dot={min(len(_DOT.findall(span)), 3)}"
     head = "d" if span[0].isdigit() else "A" if span[0].isupper() else "a" if span[0].isalpha() else span[0]
@@ -344,12 +350,12 @@ REMEMBERED = 1 << 17
 REACH = 40
 _AT_SIGNS, _DOT_SIGNS = re.compile(r"@|at", re.I), re.compile("d[Oo][Tt]|D[Oo][Tt]|\\.(?<=[A-Za-z0-9\u017f\u212a].)[A-Za-z\u017f\u212a]")
 _ALNUM = re.compile(r"[A-Za-z0-9]+")
-#: Where a span of capitalised words can begin; the second group is there if no other word can follow in the span.
-_HEADS = re.compile(r"[A-Zdv](?<![A-Za-z0-9].)(?:(?<=[A-Z])([A-Za-z0-9]*)(?:(?=\x20[abce-uw-z]|[,;:!?)])())?|(?<=v)\.*[ao]\.*n(?![A-Za-z0-9])|(?<=d)\.*[ea](?:\.*r)?(?![A-Za-z0-9]))")
+#: Where a span of capitalised words can begin; the second and third groups are there if no other word can follow in the span.
+_HEADS = re.compile(r"[A-Zdv](?<![A-Za-z0-9].)(?:(?<=[A-Z])([A-Za-z0-9]*)(?:(?=\x20[abce-uw-z]|[,;:!?)])())?|(?:(?<=v)\.*[ao]\.*n|(?<=d)\.*[ea](?:\.*r)?)(?![A-Za-z0-9])(?:(?=\x20[abce-uw-z]|[,;:!?)])())?)")
 _SIGN_WORDS = frozenset(a + b + c for a, b, c in (*(("A", t, "") for t in "tT"), *(("D", o, t) for o in "oO" for t in "tT")))
 _PIECE = re.compile(r"[A-Za-z.'-]+")
 #: What in a span of capitalised words can be a sign of an address.
-_SIGN = re.compile(r"(?:(?<![A-Za-z])A|(?<=[-'.])a)[Tt](?![A-Za-z])|(?:(?<![A-Za-z])D|(?<=[-'.])d)[Oo][Tt](?![A-Za-z])|[A-Za-z]\.[A-Za-z]")
+_SIGN = re.compile(r"[AaDd.](?:(?<=[A-Za-z]\.)[A-Za-z]|(?:(?<=[-'.]a)|(?<=A)(?<![A-Za-z]A))[Tt](?![A-Za-z])|(?:(?<=[-'.]d)|(?<=D)(?<![A-Za-z]D))[Oo][Tt](?![A-Za-z]))")
 _GAP = re.compile(r"\s+")
 _SLACK = 1e-6
 
@@ -364,11 +370,14 @@ class Field:
         self.weights, self.bias = weights, rows.pop("bias", [0.0] * len(TYPES))
         self.rows = dict(rows)
         self.own: dict[tuple[str, int], list[float]] = {}
+        self.beside: dict[tuple[str, str], list[float]] = {}
         self.none = [0.0] * len(TYPES)
         self.tops = {(head, sign): self._most(head, sign) for head in "Aa" for sign in (False, True)}
         self.hopeless: dict[tuple, bool] = {}
-        self.passed: dict[tuple[str, str], bool] = {}
-        self.beside: dict[tuple[str, str], list[float]] = {}
+        for word in PARTICLES:  # alone
+            follows, glued = ([max([0.0, *(r[k] for n, r in self.rows.items() if n.startswith(start))]) for k in range(len(TYPES))] for start in ("next=word", "glued="))
+            self.tops[word, False] = [sum(x) for x in zip(self.near_own(word, 1), follows, glued)]
+        self.passed: dict[tuple[str, str, str], bool] = {}
 
     def scores(self, feats: list[str]) -> list[float]:
         """As _score gives them, for all types."""
@@ -535,20 +544,23 @@ def _named_segments(text: str, field: Field, out: dict[tuple[int, int], list[flo
     rows, none, passed, sign_at = field.rows, field.none, field.passed, -1
     for m in _HEADS.finditer(text):
         start = m.start()
+        head = "A" if m[1] is not None else m[0] if m.lastindex == 3 and m[0] in PARTICLES else "a"
         if m.lastindex == 2:
             sign = m[0] in _SIGN_WORDS
+        elif len(head) > 1:
+            sign = False
         else:
             if sign_at < start:
                 sign_at = found.start() if (found := _SIGN.search(text, start)) else len(text) + LONGEST
             sign = sign_at < start + LONGEST
         parts = text[max(0, start - REACH) : start].rsplit(None, 2)
-        beside = (parts[1], parts[2]) if len(parts) == 3 and m.lastindex and not sign else None
+        beside = (head, parts[1], parts[2]) if len(parts) == 3 and not sign else None
         if beside and passed.get(beside):
             continue
         near = _words_before(text, start)
         told = _said(text, start, near[0])
-        if field.no_name("A" if m.lastindex else "a", sign, near, told):
-            if beside and near[0] not in _SAYING and sum(1 for t in _TOKEN.findall(" ".join(beside)) if _word(t)) > 1:  # these two pieces decide
+        if field.no_name(head, sign, near, told):
+            if beside and near[0] not in _SAYING and sum(1 for t in _TOKEN.findall(" ".join(beside[1:])) if _word(t)) > 1:  # these two pieces decide
                 if len(passed) >= REMEMBERED:
                     passed.clear()
                 passed[beside] = True
