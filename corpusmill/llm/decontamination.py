@@ -6,7 +6,8 @@ prefix that has to be joined is its rarest one. Shingles of a document that lead
 bounds drop those where the window would not fit, and the rest are compared word by word over the item-sized window.
 Where the leading shingles are few, the documents' arrays are filtered by them and only the hits with the words around them are joined, by broadcast; where they are
 many, places meet windows in a shuffle and words are fetched for the documents that have a place.
-Defined results: null text has no words; a benchmark row with null text or id has no windows; each input row gives one row, so
+Defined results: null text has no words; a benchmark row with null text has no windows, one with a null id is an item of its own
+without a name; each input row gives one row, so
 repeated rows repeat; without benchmark items nothing is hit; an empty table gives an empty result; extra columns are ignored.
 """
 
@@ -37,8 +38,8 @@ def words_of(text: Column) -> Column:
 
 
 def windows_of(bench: DataFrame, size: int, item_col: str, text_col: str) -> DataFrame:
-    """Distinct (item, words) windows of the items."""
-    items = bench.where(F.col(item_col).isNotNull()).select(F.col(item_col).cast("string").alias("item"), words_of(F.col(text_col).cast("string")).alias("w")).where("size(w) > 0")
+    """Distinct (item, words) windows of the items; an item is a struct of its name, so that a null name counts."""
+    items = bench.select(F.struct(F.col(item_col).cast("string").alias("name")).alias("item"), words_of(F.col(text_col).cast("string")).alias("w")).where("size(w) > 0")
     return items.select("item", F.explode(F.expr(f"if(size(w) <= {size}, array(w), transform(sequence(1, size(w) - {size - 1}), i -> slice(w, i, {size})))")).alias("win")).distinct()
 
 
@@ -83,7 +84,7 @@ def occurrences(docs: DataFrame, bench: DataFrame, id_col: str, text_col: str, i
     fits = (start >= 0) & (start + F.size("win") <= F.col("n_words"))
     of_hit = F.struct(start.alias("s"), (start + F.size("win")).alias("e"))
     key = ["__id", "__h1", "__h2", "n_words"]
-    if _few(windows, F.octet_length(F.array_join("win", " ")) + F.octet_length(F.array_join("items", " "))):
+    if _few(windows, F.octet_length(F.array_join("win", " ")) + F.octet_length(F.array_join("items.name", " "))):
         leads = [r[0] for r in windows.select("h").distinct().collect()]
         picked = F.filter("__c", lambda x: x["h"].isin(leads) if leads else F.lit(False))
         near = F.expr(f"get(transform(array(__w), s -> transform(__c, x -> struct(x.h as h, x.pos as pos, slice(s, greatest(x.pos - {size - 1}, 0) + 1, {2 * size - 1}) as near))), 0)")
@@ -100,7 +101,7 @@ def occurrences(docs: DataFrame, bench: DataFrame, id_col: str, text_col: str, i
         same = F.col("__id").eqNullSafe(F.col("__i")) & (F.col("__h1") == F.col("__k1")) & (F.col("__h2") == F.col("__k2")) & (F.col("n_words") == F.col("__n"))
         again = whole.join(met, same, "left")
         good = F.expr("get(transform(array(__w), s -> filter(__m, x -> slice(s, x.hit.s + 1, size(x.win)) = x.win)), 0)")
-        none = F.expr("array(named_struct('items', cast(null as array<string>), '__hit', cast(null as struct<s: int, e: int>), 'pos', -1))")
+        none = F.expr("array(named_struct('items', cast(null as array<struct<name: string>>), '__hit', cast(null as struct<s: int, e: int>), 'pos', -1))")
         checked = again.select(*key, F.explode(F.concat(none, F.coalesce(F.transform(good, lambda x: F.struct(x["items"].alias("items"), x["hit"].alias("__hit"), F.lit(0).alias("pos"))), F.slice(none, 1, 0)))).alias("x")).select(*key, "x.*")
     return checked.groupBy(*key).agg(
         F.sum((F.col("pos") == -1).cast("int")).alias("copies"), F.array_sort(F.collect_set("__hit")).alias("ranges"), F.array_sort(F.array_distinct(F.flatten(F.collect_set(F.when(F.col("__hit").isNotNull(), F.col("items")))))).alias("items")
@@ -112,7 +113,7 @@ def contamination(docs: DataFrame, bench: DataFrame, id_col: str = "doc_id", tex
     found = occurrences(docs, bench, id_col, text_col, item_col, bench_text_col, size)
     hits = F.expr("aggregate(ranges, struct(0L as c, 0 as e), (a, x) -> struct(a.c + greatest(x.e - greatest(x.s, a.e), 0) as c, greatest(a.e, x.e) as e), a -> a.c)")
     out = found.withColumn("n_hit", hits).withColumn("__copy", F.explode(F.expr("sequence(1, cast(copies as int))")))
-    return out.select(F.col("__id").alias(id_col), "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
+    return out.select(F.col("__id").alias(id_col), "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items.name", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
 def drop_contaminated(docs: DataFrame, bench: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:

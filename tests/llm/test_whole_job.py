@@ -238,3 +238,21 @@ def test_the_field_reads_whole_texts():
 def test_prose_without_personal_data_has_no_names():
     weights = pii.fitted()
     assert sum(bool(pii.crf_spans(t, weights, [])) for t in pii.prose_sentences(400, seed=1234)) <= 4
+
+
+@pytest.mark.parametrize("small", [100_000, 0])
+def test_benchmark_items_without_an_id_are_windows_too(spark, small, monkeypatch):
+    """Equal to the SQL, and the pipeline's stage drops what holds their words."""
+    import duckdb
+
+    monkeypatch.setattr(decontamination, "SMALL", small)
+    docs = [(1, "w a b c d"), (2, "w a b d"), (3, "c d e"), (4, None)]
+    bench = [(None, "a b c"), ("i", "c d"), (None, "c d"), (None, None), (None, "z")]
+    docs_df, bench_df = spark.createDataFrame(docs, SCHEMA), spark.createDataFrame(bench, "item_id string, text string")
+    con = duckdb.connect()
+    con.execute("create table documents(doc_id bigint, text varchar); create table benchmark(item_id varchar, text varchar)")
+    con.executemany("insert into documents values (?, ?)", docs)
+    con.executemany("insert into benchmark values (?, ?)", bench)
+    got = sorted(map(tuple, decontamination.contamination(docs_df, bench_df).collect()))
+    assert got == sorted(con.execute(decontamination.CONTAMINATION_SQL).fetchall()) and [r[5] for r in got] == [True, False, True, False]
+    assert sorted(r.doc_id for r in decontamination.drop_contaminated(docs_df, bench_df.where("item_id is null")).collect()) == [2, 4]
